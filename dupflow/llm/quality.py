@@ -115,7 +115,9 @@ def quality_features(docs: DataFrame, min_words: int = 50, max_repeat: int = 50,
 def clean_documents(docs: DataFrame, **rules) -> DataFrame:
     """The documents that stay, with their failing lines removed and n_chars renewed; all columns are kept."""
     others = [c for c in docs.columns if c not in ("doc_id", "text", "n_chars")]
-    f = quality_features(docs, **rules, carry=[F.col(f"`{c}`") for c in others]).where("kept")
+    f = quality_features(docs, **rules, carry=[F.col(f"`{c}`") for c in others])
+    # a numbered row keeps the filter above the features; below them it would evaluate them anew for each array element
+    f = f.withColumn("row", F.monotonically_increasing_id()).where(F.col("kept") & (F.col("row") >= 0))
     new = {"doc_id": F.col("doc_id"), "text": F.col("clean_text"), "n_chars": F.length("clean_text").cast("long")}
     new |= {c: F.col(f"carried_{i}") for i, c in enumerate(others)}
     return f.select(*[new[c].alias(c) for c in docs.columns])

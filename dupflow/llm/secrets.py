@@ -83,6 +83,7 @@ def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max
     t = text_or_empty()
     found = docs.select(
         F.col("doc_id").cast("long").alias("doc_id"),
+        F.xxhash64(t).alias("rid"),
         F.col(f"`{repository}`").cast("string").alias("repository"),
         F.col(f"`{owner}`").cast("string").alias("owner"),
         *[c.alias(k) for c, k in zip([*base_spans(t), keylike_spans(t)], KINDS, strict=True)],
@@ -90,7 +91,7 @@ def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max
     found = found.withColumn("base", F.concat("assign", "access", "hex"))
     outside = lambda s: ~F.exists("base", lambda b: (b["start"] < s["end"]) & (s["start"] < b["end"]))
     found = found.withColumn("all", F.concat("base", F.filter("owned", outside)))
-    found = found.select("doc_id", "repository", "owner", "assign", "access", "hex", "base", "all", F.transform("all", lambda s: F.xxhash64(s["value"])).alias("hashes"))
+    found = found.select("doc_id", "rid", "repository", "owner", "assign", "access", "hex", "base", "all", F.transform("all", lambda s: F.xxhash64(s["value"])).alias("hashes"))
     found = materialize(found, "secret-spans")
     holders = found.where(F.size("all") > 0)
     rows = holders.select("doc_id", "repository", "owner", F.explode(F.array_distinct("hashes")).alias("hash"))
@@ -101,7 +102,7 @@ def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max
     n = lambda s: F.col("held")[F.xxhash64(s["value"])]["n_owners"]
     live = F.filter("all", lambda s: n(s) <= max_owners)
     return joined.select(
-        "doc_id", "assign", "access", "hex", "base", "all", "held", live.alias("live"),
+        "doc_id", "rid", "assign", "access", "hex", "base", "all", "held", live.alias("live"),
         F.filter("all", lambda s: (s["rank"] < 3) | (n(s) <= max_owners)).alias("kept"),
     )
 
@@ -119,3 +120,26 @@ def scan_digest(docs: DataFrame, **how) -> DataFrame:
         F.sha2(_written(F.col("base")).cast("binary"), 256).alias("base_sha256"), _written(F.col("kept")).alias("spans"),
         F.coalesce(count("live"), F.lit(0)).alias("n_live"), (count("all") - count("live")).alias("n_copied"),
     )
+
+
+def redact(docs: DataFrame, mark: str = "[SECRET]", **how) -> DataFrame:
+    """All documents, with the values of live spans replaced by ``mark``; n_chars is renewed, other columns stay.
+
+    Copied examples are left alone.  Rows are matched by id and text, so rows
+    with equal ids are redacted each by its own text.
+    """
+    live = scan(docs, **how).where(F.size("live") > 0).dropDuplicates(["doc_id", "rid"])
+    live = live.select(F.col("doc_id").alias("__id"), F.col("rid").alias("__rid"), F.sort_array(F.transform("live", lambda s: F.struct((s["end"] - F.length(s["value"])).alias("start"), s["end"].alias("end")))).alias("__live"))
+    text = F.col("text")
+
+    def step(acc: Column, s: Column) -> Column:
+        fresh = s["start"] >= acc["at"]
+        out = F.when(fresh, F.concat(acc["out"], F.substr(text, acc["at"] + 1, s["start"] - acc["at"]), F.lit(mark))).otherwise(acc["out"])
+        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), out.alias("out"))
+
+    joined = docs.join(live, docs["doc_id"].eqNullSafe(live["__id"]) & (F.xxhash64(text_or_empty()) == live["__rid"]), "left")
+    clean = F.aggregate("__live", F.struct(F.lit(0).alias("at"), F.lit("").alias("out")), step, lambda acc: F.concat(acc["out"], F.substr(text, acc["at"] + 1)))
+    new = {c: docs[c] for c in docs.columns} | {"text": F.coalesce(clean, text).alias("text")}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.when(F.col("__live").isNull(), F.col("n_chars")).otherwise(F.length(clean).cast("long")).alias("n_chars")
+    return joined.select(*new.values())
