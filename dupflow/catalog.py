@@ -2,5 +2,5 @@
 
 from __future__ import annotations
 
-QUERIES: dict = {}
-ORACLES: dict = {}
+import dupflow.queries.methods  # noqa: F401
+from dupflow.registry import ORACLES, QUERIES  # noqa: F401

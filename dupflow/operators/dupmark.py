@@ -148,12 +148,12 @@ def mark_keyed(df: DataFrame, key: list[str], score: Column, tie: Column, salt:
         best = part.groupBy(*key).agg(F.min("__best").alias("__best"), F.sum("__n").alias("set_size"))
     else:
         best = keyed.groupBy(*key).agg(F.min("__rank").alias("__best"), F.count("*").alias("set_size"))
-    on = [keyed[k].eqNullSafe(best[k]) for k in key]
-    cond = on[0]
-    for c in on[1:]:
-        cond = cond & c
+    best = best.select(*[F.col(k).alias(f"__k{i}") for i, k in enumerate(key)], "__best", "set_size")
+    cond = F.lit(True)
+    for i, k in enumerate(key):
+        cond = cond & F.col(k).eqNullSafe(F.col(f"__k{i}"))
     joined = keyed.join(best, cond)
-    return joined.select(*[keyed[c] for c in df.columns], (F.col("__rank") != F.col("__best")).alias("is_dup"), F.col("__best")["tie"].alias("rep_tie"), "set_size")
+    return joined.select(*df.columns, (F.col("__rank") != F.col("__best")).alias("is_dup"), F.col("__best")["tie"].alias("rep_tie"), "set_size")
 
 
 def brute_mark(digests: DataFrame) -> DataFrame:
