@@ -2,5 +2,7 @@
 
 from __future__ import annotations
 
-import dupflow.queries.methods  # noqa: F401
+import dupflow.queries.general
+import dupflow.queries.methods
+import dupflow.queries.streams  # noqa: F401
 from dupflow.registry import ORACLES, QUERIES  # noqa: F401

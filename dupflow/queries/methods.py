@@ -9,11 +9,11 @@ from dupflow import metrics
 from dupflow.fixtures import AL, alignments, marks_sql
 from dupflow.functions import geometry as G
 from dupflow.operators import baselines, compare, dupmark, pack, sortorder
-from dupflow.operators.dupmark import FRAGMENT_KEY, PAIR_KEY
+from dupflow.operators.dupmark import PAIR_KEY
 from dupflow.plans import pool as P
 from dupflow.plans.digest import digest
 from dupflow.plans.pipeline import Pipeline
-from dupflow.plans.plugins import AntiFilter, CoverageAnalyzer, DuplicateMarker, FlagFilter, FlagStat, InsertSize, MapqFilter, RegionFilter, RegionSetFilter
+from dupflow.plans.plugins import CoverageAnalyzer, DuplicateMarker, FlagFilter, FlagStat, InsertSize, MapqFilter, RegionFilter, RegionSetFilter
 from dupflow.registry import query, table
 from dupflow.shared import shared_path
 from dupflow.sources import baf, taf
@@ -282,12 +282,7 @@ def dup_removed(spark, sf):
 
 @query("SELECT doc_id, lang, source FROM documents d WHERE NOT EXISTS (SELECT 1 FROM benchmark b WHERE contains(d.text, b.text))")
 def flt_doc_benchmark_anti(spark, sf):
-    """Documents without a whole benchmark passage: an equal join on a passage's first line, then the check.
-
-    A passage is in a text only if its first line ends one of the text's lines
-    or is inside one; lines of passages are looked up by their first 40
-    characters at word starts.
-    """
+    """Documents without any whole benchmark passage."""
     d = table(spark, sf, "documents")
     b = table(spark, sf, "benchmark").select(F.col("text").alias("passage")).where(F.length("passage") > 0)
     hit = d.join(F.broadcast(b), F.contains(d["text"], b["passage"]), "left_anti")  # benchmark: a fixed list of passages
@@ -479,8 +474,8 @@ def overlay_sorted(spark, sf):
     return sortorder.overlay_sorted(a, dupmark.mark_records(digest(a))).select(st("seq"), "flag")
 
 
-_BYTES = AL + ", sz AS (SELECT seq, 44 + length(qname) + 4 * len(regexp_extract_all(cigar, '[0-9]+')) + 2 * 24 + list_sum(list_transform(string_split(tagtext, chr(9)), lambda t: 3 + length(string_split(t, ':')[3]))) AS rec_bytes FROM al), run AS (SELECT seq, rec_bytes, sum(rec_bytes) OVER (ORDER BY seq) - rec_bytes AS at FROM sz) "
-_PREFIX = _BYTES + "SELECT seq::VARCHAR AS seq, rec_bytes::BIGINT AS rec_bytes, floor(at / 65536)::BIGINT AS block_no FROM run"
+_BYTES = AL + ", sz AS (SELECT seq, 44 + length(qname) + 4 * len(regexp_extract_all(cigar, '[0-9]+')) + 2 * 24 + list_sum(list_transform(string_split(tagtext, chr(9)), lambda t: 3 + length(string_split(t, ':')[3]))) AS rec_bytes FROM al), run AS (SELECT seq, rec_bytes, sum(rec_bytes) OVER (ORDER BY seq) - rec_bytes AS before FROM sz) "
+_PREFIX = _BYTES + "SELECT seq::VARCHAR AS seq, rec_bytes::BIGINT AS rec_bytes, floor(before / 65536)::BIGINT AS block_no FROM run"
 
 
 @query(_PREFIX)
@@ -672,5 +667,3 @@ def wl_convert_baf(spark, sf):
     Pipeline(alignments(spark, sf)).attach(DuplicateMarker()).write(path)
     return baf.read_baf(spark, path).agg(F.count("*").alias("records"), F.count_if(F.expr("flag & 1024 <> 0")).alias("marked"))
 
-
-__all__ = ["AntiFilter", "FRAGMENT_KEY"]
