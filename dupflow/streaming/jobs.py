@@ -57,7 +57,7 @@ class BestOfSet(StatefulProcessor):
         self.handle = handle
         self.state = handle.getValueState("best", StructType([StructField("score", LongType()), StructField("event_id", LongType()), StructField("n", LongType()), StructField("timer", LongType())]))
 
-    def handleInputRows(self, key, rows, timers):
+    def handleInputRows(self, key, rows, timerValues):
         held = self.state.get() if self.state.exists() else None
         best, n, timer = ((held[0], -held[1]), held[2], held[3]) if held else (None, 0, 0)
         latest = 0
@@ -75,7 +75,7 @@ class BestOfSet(StatefulProcessor):
         self.state.update((best[0], -best[1], n, when))
         yield from ()
 
-    def handleExpiredTimer(self, key, timers, expired):
+    def handleExpiredTimer(self, key, timerValues, expiredTimerInfo):
         s = self.state.get()
         self.state.clear()
         yield pd.DataFrame({"user_id": [key[0]], "event_type": [key[1]], "kept": [s[1]], "n": [s[2]]})
