@@ -9,7 +9,7 @@ Chunks repeat far more than texts do, so most cost one dictionary probe.
 from __future__ import annotations
 
 import re
-from collections.abc import Callable, Iterable
+from collections.abc import Callable
 
 #: A space with white space on both sides: cutting there could change a match.
 _UNSAFE = re.compile(r"\s (?=\s|\Z)|\A (?=\s|\Z)")
@@ -42,35 +42,35 @@ class ChunkEncoder:
     entries, which only costs time.
     """
 
-    def __init__(self, encode_many: Callable[[list[str]], list[bytes]], capacity: int = 400_000):
+    def __init__(self, encode_many: Callable[[list[str]], list[bytes]], capacity: int = 900_000):
         self.encode_many, self.capacity = encode_many, capacity
         self.after_space: dict[str, bytes] = {}
         self.other: dict[str, bytes] = {}
 
-    def _fill(self, memo: dict[str, bytes], wanted: Iterable[str], prefix: str) -> None:
-        missing = list(set(wanted).difference(memo))
+    def _fill(self, memo: dict[str, bytes], wanted: set[str], prefix: str) -> None:
+        missing = [x for x in wanted if x not in memo]
         if not missing:
             return
         if len(memo) + len(missing) > self.capacity:
             memo.clear()
-            missing = list(set(wanted))
+            missing = list(wanted)
         for lo in range(0, len(missing), 8192):
             part = missing[lo : lo + 8192]
             memo.update(zip(part, self.encode_many([prefix + x for x in part]), strict=True))
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Id bytes of each text; call it with batches of a few megabytes at most."""
-        cut = []
+        cut: list[tuple[list[str], list[str]]] = []  # chunks as they are, then chunks that follow a space
         for t in texts:
-            plain = plain_spaces(t)
-            cut.append((t.split(" ") if plain else _SAFE_CUT.split(t), plain))
-        self._fill(self.other, [x for pieces, plain in cut for x in (pieces[:1] if plain else pieces)], "")
-        self._fill(self.after_space, [x for pieces, plain in cut if plain for x in pieces[1:]], " ")
-        first, rest = self.other, self.after_space
-        return [
-            b"".join([first[pieces[0]], *map(rest.__getitem__, pieces[1:])]) if plain else b"".join(map(first.__getitem__, pieces))
-            for pieces, plain in cut
-        ]
+            if plain_spaces(t):
+                pieces = t.split(" ")
+                cut.append(([pieces.pop(0)], pieces))
+            else:
+                cut.append((_SAFE_CUT.split(t), []))
+        self._fill(self.other, set().union(*[a for a, _ in cut]), "")
+        self._fill(self.after_space, set().union(*[b for _, b in cut]), " ")
+        first, rest = self.other.__getitem__, self.after_space.__getitem__
+        return [b"".join([*map(first, a), *map(rest, b)]) for a, b in cut]
 
 
 def batches_by_size(texts: list[str], limit: int = 2_000_000):

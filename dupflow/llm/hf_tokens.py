@@ -7,6 +7,8 @@ import re
 import sys
 from array import array
 
+import numpy as np
+
 from dupflow.llm.chunks import ChunkEncoder, simple_words
 
 _CACHE: dict[str, ChunkEncoder] = {}
@@ -23,6 +25,16 @@ def little_endian(ids: list[int]) -> bytes:
     return a.tobytes()
 
 
+def by_word(encoding, n: int) -> list[bytes]:
+    """Id bytes of each of the ``n`` pre-tokens of an encoding; none if it has another number of them."""
+    at = np.array(encoding.word_ids, np.int64)
+    if not len(at) or at[-1] != n - 1:
+        return []
+    ends = (4 * np.searchsorted(at, np.arange(1, n + 1))).tolist()
+    raw = little_endian(encoding.ids)
+    return [raw[a:b] for a, b in zip([0, *ends], ends, strict=False)]
+
+
 def encoder(path: str) -> ChunkEncoder:
     """One encoder for each worker process and vocabulary file, kept between tasks.
 
@@ -43,10 +55,16 @@ def encoder(path: str) -> ChunkEncoder:
             return little_endian(e.ids)
 
         def encode_many(chunks: list[str]) -> list[bytes]:
-            if len(memo) > 300_000:
+            if len(memo) > 600_000:
                 memo.clear()
             words = [simple_words(c) or (find(c) if _COMMON.match(c) else (c,)) for c in chunks]
-            new = list({w for ws in words for w in ws}.difference(memo))
+            new = [w for w in set().union(*words) if w not in memo]
+            plain = [w for w in new if w[0:1] == " " and w[1:].isalpha()]
+            for lo in range(0, len(plain), 1024):
+                part = plain[lo : lo + 1024]
+                together = tok.encode("".join(part), add_special_tokens=False)
+                memo.update(zip(part, by_word(together, len(part)) or map(pack, tok.encode_batch_fast(part, add_special_tokens=False)), strict=True))
+            new = [w for w in new if w not in memo]
             for lo in range(0, len(new), 1024):
                 part = new[lo : lo + 1024]
                 memo.update(zip(part, map(pack, tok.encode_batch_fast(part, add_special_tokens=False)), strict=True))
