@@ -14,7 +14,8 @@ def components(edges: DataFrame) -> DataFrame:
     Each turn takes the least label among the neighbours and then the label of
     that label, so stars settle in two turns and chains in a logarithmic number.
     """
-    both = materialize(edges.select("a", "b").unionAll(edges.select(F.col("b").alias("a"), F.col("a").alias("b"))).where(F.col("a") != F.col("b")).distinct(), "edges")
+    edges = materialize(edges.select("a", "b").where(F.col("a") != F.col("b")).distinct(), "edges")
+    both = edges.unionAll(edges.select("b", "a"))
     labels = materialize(both.groupBy("a").agg(F.min("b").alias("near")).select(F.col("a").alias("node"), F.least("a", "near").alias("comp")), "labels")
     while True:
         near = both.join(labels, both["b"] == labels["node"]).groupBy("a").agg(F.min("comp").alias("near"))
