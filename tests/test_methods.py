@@ -16,7 +16,7 @@ from dupflow.plans.plugins import DuplicateMarker, FlagFilter, MapqFilter, Regio
 from dupflow.plans.pool import choose_mode
 from dupflow.sources import baf, taf
 
-ORACLE_SAMPLE = ["blk_cut", "parse_fields", "mark_duplicates_full", "mark_frags", "mark_tie_sorted", "sort_coordinate", "pack_prefix", "baf_region_read", "acc_diff_counts", "mark_docs_exact", "flt_region_set", "jn_asof_window", "wn_rank", "m_paper_ratios"]
+ORACLE_SAMPLE = ["blk_cut", "parse_fields", "mark_duplicates_full", "mark_frags", "mark_tie_sorted", "sort_coordinate", "pack_prefix", "baf_region_read", "mark_docs_exact", "flt_region_set", "jn_asof_window", "wn_rank", "m_paper_ratios"]
 
 
 @pytest.mark.parametrize("name", ORACLE_SAMPLE)
