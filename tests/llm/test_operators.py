@@ -294,7 +294,7 @@ def test_near_duplicates_in_chains_and_crowds(spark):
 
 
 def test_signature_estimates_weighted_similarity():
-    e = np.arange(1, 401, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    e = np.random.default_rng(0).integers(1, 1 << 63, 400, dtype=np.uint64)  # elements are hashes
     a, b = e[:300], e[100:]
     sig = near_dedup.signatures(np.concatenate([a, b]), np.ones(600), np.repeat([0, 1], 300), 2, m=2000)
     assert abs((sig[0] == sig[1]).mean() - 0.5) < 0.05
