@@ -321,6 +321,37 @@ def test_line_links_are_all_pairs_within_the_threshold(spark, tau):
     assert got == want and want
 
 
+@pytest.mark.parametrize("numbered", [line_join.NUMBERED, 3])
+def test_line_links_grow_with_the_line(spark, monkeypatch, numbered):
+    monkeypatch.setattr(line_join, "NUMBERED", numbered)
+    r = np.random.default_rng(7)
+    lines = set()
+    for n in [2, 3, 40, 64, 65, 66, 67, 68, 100, 132, 134, 200, 201, 335, 600, 1100]:
+        x = list(r.choice(list("abcdé fg"), n))
+        lines.add("".join(x))
+        for edits in {1, 2, max(1, n * 3 // 100), n * 3 // 100 + 1}:
+            for _ in range(4):
+                y = list(x)
+                for _ in range(edits):
+                    at = int(r.integers(0, len(y) + 1))
+                    y[at : at + int(r.integers(0, 2))] = list(r.choice(list("abcdé fg"), int(r.integers(0, 2))))
+                lines.add("".join(y))
+    lines = sorted(x for x in lines if len(x) > 1)
+    d = spark.createDataFrame(list(enumerate(lines)), "uid long, line string")
+    got = {tuple(x) for x in line_join.line_links(d, 1, 3).collect()}
+    x, y = d.select(F.col("uid").alias("a"), F.col("line").alias("la")), d.select(F.col("uid").alias("b"), F.col("line").alias("lb"))
+    most = F.greatest(F.lit(1), F.floor(F.greatest(F.length("la"), F.length("lb")) * 3 / 100).cast("int"))
+    want = {(p["a"], p["b"]) for p in x.join(y, (F.col("a") < F.col("b")) & (F.abs(F.length("la") - F.length("lb")) < 60)).withColumn("most", most).where("levenshtein(la, lb) <= most").collect()}
+    assert got == want and len({len(lines[b]) for _, b in want if len(lines[b]) > 67}) > 20
+
+
+def test_line_query_links_a_long_line_with_a_changed_word(spark, tmp_path):
+    x = " ".join(f"word{i * i}" for i in range(40))
+    docs_of(spark, [(1, x), (2, x.replace("word400 ", "wird401 "))]).write.parquet(str(tmp_path / "documents.parquet"))
+    rows = QUERIES["op9_segment_line_join"](spark, str(tmp_path)).collect()
+    assert sorted((r["doc_id"], r["class_doc"], r["n_links"], r["stays"]) for r in rows) == [(1, 1, 1, True), (2, 1, 1, False)]
+
+
 def test_line_classes_and_clean_up(spark, weird, empty):
     rows = [(2, "the very same long line here\nanother quite different line of text"), (1, "the very same long line here\nshort\nthe very sane long line here"), (None, "another quite different line of text"), (3, ""), (3, None), (4, "short\nshort")]
     d = docs_of(spark, rows)
