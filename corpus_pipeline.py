@@ -16,7 +16,7 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each class of equal or nearly equal lines only the first stays; every document stays."""
-    return line_join.drop_repeated_lines(docs, share=line_join.SHARE)
+    return line_join.drop_repeated_lines(docs, share=line_join.SHARE, short=True)
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

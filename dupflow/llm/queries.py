@@ -48,7 +48,7 @@ def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op9_segment_line_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_join.line_classes(table(spark, sf_dir, "documents"), share=line_join.SHARE)
+    return line_join.line_classes(table(spark, sf_dir, "documents"), share=line_join.SHARE, short=True)
 
 
 #: A conversation that says the template's own control strings.

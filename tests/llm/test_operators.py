@@ -352,6 +352,16 @@ def test_line_query_links_a_long_line_with_a_changed_word(spark, tmp_path):
     assert sorted((r["doc_id"], r["class_doc"], r["n_links"], r["stays"]) for r in rows) == [(1, 1, 1, True), (2, 1, 1, False)]
 
 
+def test_line_query_has_short_lines(spark, tmp_path):
+    docs_of(spark, [(1, "Notes\n\nx\n  "), (2, "Notes\nNote\nx"), (3, "a\nquite other")]).write.parquet(str(tmp_path / "documents.parquet"))
+    rows = QUERIES["op9_segment_line_join"](spark, str(tmp_path)).collect()
+    got = {(r["doc_id"], r["line_no"]): (r["class_doc"], r["class_line"], r["n_copies"], r["n_links"], r["stays"]) for r in rows}
+    assert got == {(1, 0): (1, 0, 2, 1, True), (1, 2): (1, 2, 2, 0, True), (2, 0): (1, 0, 2, 1, False), (2, 1): (1, 0, 1, 1, False), (2, 2): (1, 2, 2, 0, False), (3, 0): (3, 0, 1, 0, True), (3, 1): (3, 1, 1, 0, True)}
+    docs = spark.read.parquet(str(tmp_path / "documents.parquet"))
+    left = {r["doc_id"]: r["text"] for r in dict(corpus_pipeline.STAGES)["line dedup"](spark, docs, str(tmp_path)).collect()}
+    assert left == {1: "Notes\n\nx\n  ", 2: "", 3: "a\nquite other"}
+
+
 def test_line_classes_and_clean_up(spark, weird, empty):
     rows = [(2, "the very same long line here\nanother quite different line of text"), (1, "the very same long line here\nshort\nthe very sane long line here"), (None, "another quite different line of text"), (3, ""), (3, None), (4, "short\nshort")]
     d = docs_of(spark, rows)
