@@ -293,6 +293,15 @@ def test_near_duplicates_in_chains_and_crowds(spark):
     assert got == brute_classes(made)
 
 
+def test_near_duplicate_that_repeats_a_passage(spark):
+    rows = []
+    for k in range(8):
+        w = [f"w{k}x{i}" for i in range(304)]
+        rows += [(2 * k, " ".join(w)), (2 * k + 1, " ".join(w + w[100:140] * 10))]
+    got = {x["doc_id"]: x["class_id"] for x in near_dedup.class_digest(docs_of(spark, rows)).collect()}
+    assert got == brute_classes(dict(rows)) == {i: i - i % 2 for i in range(16)}
+
+
 def test_signature_estimates_weighted_similarity():
     e = np.random.default_rng(0).integers(1, 1 << 63, 400, dtype=np.uint64)  # elements are hashes
     a, b = e[:300], e[100:]
