@@ -19,6 +19,8 @@ ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?(
 ASSIGN_HINTS = ["password", "passwd", "secret", "token", "api"]
 ACCESS = r"AKIA[A-Z0-9]{12,}"
 HEX = r"[0-9a-f]{32,}"
+#: Redaction leaves a value alone only if more owners and repositories than these hold it, or so many repositories of any owners.
+WIDE = {"max_owners": 3, "max_repositories": 10, "hot_repositories": 1000}
 #: The method's own candidates: long key-like runs with digits and letters.
 KEYLIKE = r"[A-Za-z0-9+/_=-]{20,}"
 
@@ -71,11 +73,13 @@ def ownership(candidates: DataFrame) -> DataFrame:
     return by_owner.groupBy("hash").agg(F.sum("repositories").alias("n_repositories"), F.count("*").alias("n_owners"))
 
 
-def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max_owners: int = 1) -> DataFrame:
+def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max_owners: int = 1, max_repositories: int = 0, hot_repositories: int | None = None) -> DataFrame:
     """One row for each document with all spans and the verdict on each.
 
-    ``max_owners``: a candidate held by more distinct owners is a copied
-    example; up to as many, it is live.  Base spans stay whatever the verdict;
+    A candidate is a copied example if it is held by more than ``max_owners``
+    distinct owners and more than ``max_repositories`` distinct repositories,
+    or, whoever owns them, by more than ``hot_repositories`` if that is given;
+    any other is live.  Base spans stay whatever the verdict;
     a key-like candidate outside base spans becomes an ``owned`` span only if
     live.  Null texts are empty; null owners and repositories count as one
     value each.  Equal rows give equal rows; an empty table gives none.
@@ -99,11 +103,16 @@ def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max
     verdicts = rows.select("doc_id", "hash").distinct().join(counts, "hash")
     of_doc = verdicts.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("hash", F.struct("n_owners", "n_repositories")))).alias("held"))
     joined = found.join(of_doc, found["doc_id"].eqNullSafe(of_doc["doc_id"]), "left").select(found["*"], "held")
-    n = lambda s: F.col("held")[F.xxhash64(s["value"])]["n_owners"]
-    live = F.filter("all", lambda s: n(s) <= max_owners)
+    n = lambda s, count: F.col("held")[F.xxhash64(s["value"])][count]
+
+    def is_live(s: Column) -> Column:
+        few = (n(s, "n_owners") <= max_owners) | (n(s, "n_repositories") <= max_repositories)
+        return few if hot_repositories is None else few & (n(s, "n_repositories") <= hot_repositories)
+
+    live = F.filter("all", is_live)
     return joined.select(
         "doc_id", "rid", "assign", "access", "hex", "base", "all", "held", live.alias("live"),
-        F.filter("all", lambda s: (s["rank"] < 3) | (n(s) <= max_owners)).alias("kept"),
+        F.filter("all", lambda s: (s["rank"] < 3) | is_live(s)).alias("kept"),
     )
 
 

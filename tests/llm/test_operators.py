@@ -190,6 +190,14 @@ def test_secret_spans_and_ownership(spark, empty):
     assert secrets.scan_digest(empty).count() == 0 and secrets.redact(empty).count() == 0
 
 
+def test_pipeline_redacts_what_is_not_widely_copied(spark):
+    keys = {k: f"Q1w2E3r4T5y6U7i8O9p0Q{k}" for k in range(4)}
+    held = [(0, f"s{i}") for i in range(2)] + [(1, f"s{i % 5}") for i in range(20)] + [(2, "s0")] * 1001 + [(3, "s0")] * 1000
+    d = spark.createDataFrame([(i, f"x {keys[k]} y", s) for i, (k, s) in enumerate(held)], "doc_id long, text string, source string")
+    left = Counter(r["text"] for r in dict(corpus_pipeline.STAGES)["secret scans"](spark, d, "").collect())
+    assert left == {"x [SECRET] y": 1002, f"x {keys[1]} y": 20, f"x {keys[2]} y": 1001}
+
+
 def quality_base(x):
     w = re.findall(r"[^\x20\x09-\x0D]+", x)
     full = [s for s in x.split("\n") if re.search(r"[^\x20\x09-\x0D]", s)]
