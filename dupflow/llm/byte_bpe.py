@@ -124,7 +124,7 @@ class RankCoder:
         s = self.hash.slot(word)
         return [self.rank_of_slot[s]] if s >= 0 else self.merge(word)
 
-    def _encode_chunks(self, chunks: list[str]) -> list[bytes]:
+    def _encode_chunks(self, chunks: list[str]) -> tuple[np.ndarray, np.ndarray]:
         memo = self.memo
         if len(memo) > 300_000:
             memo.clear()
@@ -136,7 +136,7 @@ class RankCoder:
                     packed = memo[w] = little_endian(self.encode_word(w.encode()))
                 parts.append(packed)
             out.append(b"".join(parts))
-        return out
+        return np.frombuffer(b"".join(out), "<u4"), np.fromiter(map(len, out), np.int64, len(out)) // 4
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Little-endian 32-bit id bytes of each whole text."""

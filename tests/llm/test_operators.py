@@ -46,9 +46,7 @@ def texts(docs):
 
 
 def reference_ids(text):
-    t = Tokenizer.from_file(VOCAB)
-    t.encode_special_tokens = True
-    return t.encode(text, add_special_tokens=False).ids
+    return Tokenizer.from_file(VOCAB).encode(text, add_special_tokens=False).ids
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))
@@ -68,12 +66,24 @@ def test_chunked_encoding_equals_the_library():
         assert bpe.decode(ids).decode() == t
 
 
+def test_special_strings_follow_the_library():
+    plain = Tokenizer.from_file(VOCAB)
+    plain.encode_special_tokens = True
+    made = ["a<|endoftext|>b", "a  <|endoftext|>", "x\n <|endoftext|>  y", "<|endoftext|>", " <|endoftext|><|endoftext|> z", "<|endoftext| >"]
+    for special_as_text, want in [(False, reference_ids), (True, lambda t: plain.encode(t, add_special_tokens=False).ids)]:
+        for t, packed in zip(made, hf_tokens.encoder(VOCAB, special_as_text).encode(made), strict=True):
+            assert np.frombuffer(packed, "<u4").tolist() == want(t), t
+    assert 50256 in reference_ids(made[0])
+
+
 def test_memo_stays_bounded():
-    e = chunks.ChunkEncoder(lambda xs: [x.encode() for x in xs], capacity=10)
+    code = lambda xs: (np.frombuffer(b"".join(x.encode("utf-32-le") for x in xs), "<u4"), np.array([len(x) for x in xs], np.int64))
+    e = chunks.ChunkEncoder(code, capacity=10)
     for i in range(100):
         t = " ".join(f"w{i}{j}" for j in range(5))
-        assert e.encode([t]) == [t.encode()]
-        assert len(e.after_space) <= 10
+        assert e.encode([t, "", "  a"]) == [x.encode("utf-32-le") for x in (t, "", "  a")]
+        assert len(e.words) <= 10
+    assert e.encode([]) == []
 
 
 def test_minimal_perfect_hash():
