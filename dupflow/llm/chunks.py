@@ -133,7 +133,7 @@ class ChunkEncoder:
         return [raw[a:b] for a, b in zip(cut, cut[1:], strict=False)]
 
 
-def batches_by_size(texts: list[str], limit: int = 24_000_000):
+def batches_by_size(texts: list[str], limit: int = 16_000_000):
     """Index ranges of ``texts`` of at most ``limit`` characters, or one text that is longer."""
     lo = size = 0
     for i, t in enumerate(texts):

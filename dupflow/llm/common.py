@@ -3,7 +3,6 @@
 from __future__ import annotations
 
 import os
-import tempfile
 import uuid
 from urllib.parse import urlparse
 
@@ -19,14 +18,18 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 def shared_dir(spark: SparkSession) -> str:
     """The folder that driver and executors share: ``spark.checkpoint.dir`` of the session.
 
-    A local folder is made only where that setting is unset, as in tests.
+    A session without that setting, as in a notebook on one machine, must name
+    a folder by ``SparkContext.setCheckpointDir``; a session that runs on this
+    machine alone is given one beside its warehouse.
     """
     conf = spark.conf.get("spark.checkpoint.dir", None)
     if conf:
         return conf.rstrip("/")
     sc = spark.sparkContext
     if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(tempfile.mkdtemp(prefix="shared-"))
+        if not sc.master.startswith("local"):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        sc.setCheckpointDir(spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/shared")
     return sc.getCheckpointDir().rstrip("/")
 
 
@@ -39,13 +42,15 @@ def materialize(df: DataFrame, name: str) -> DataFrame:
     spark = df.sparkSession
     path = shared_path(spark, name)
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.stored_path = path
+    return out
 
 
-def drop_path(spark: SparkSession, path: str) -> None:
-    """Removes a folder made by :func:`materialize` once nothing reads it any more."""
-    hadoop = spark._jvm.org.apache.hadoop.fs.Path(path)
-    hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
+def drop(df: DataFrame) -> None:
+    """Removes a table made by :func:`materialize` once nothing reads it any more."""
+    hadoop = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df.stored_path)
+    hadoop.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
 def local_part(uri: str) -> str | None:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dupflow.llm.common import materialize
+from dupflow.llm.common import drop, materialize
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -16,14 +16,15 @@ def components(edges: DataFrame) -> DataFrame:
     """
     edges = materialize(edges.select("a", "b").where(F.col("a") != F.col("b")).distinct(), "edges")
     both = edges.unionAll(edges.select("b", "a"))
-    labels = materialize(both.groupBy("a").agg(F.min("b").alias("near")).select(F.col("a").alias("node"), F.least("a", "near").alias("comp")), "labels")
+    stored = labels = materialize(both.groupBy("a").agg(F.min("b").alias("near")).select(F.col("a").alias("node"), F.least("a", "near").alias("comp")), "labels")
     while True:
         near = both.join(labels, both["b"] == labels["node"]).groupBy("a").agg(F.min("comp").alias("near"))
         least = labels.join(near, labels["node"] == near["a"], "left").select("node", F.col("comp").alias("old"), F.least("comp", F.coalesce("near", "comp")).alias("comp"))
         up = labels.select(F.col("node").alias("up"), F.col("comp").alias("top"))
         jumped = least.join(up, least["comp"] == up["up"], "left").select("node", "old", F.least("comp", F.coalesce("top", "comp")).alias("comp"))
         new = materialize(jumped, "labels")
-        changed = new.where(F.col("comp") != F.col("old")).limit(1).count()
-        labels = new.select("node", "comp")
-        if not changed:
+        drop(stored)
+        stored, labels = new, new.select("node", "comp")
+        if new.where(F.col("comp") != F.col("old")).isEmpty():
+            drop(edges)
             return labels
