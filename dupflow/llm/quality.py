@@ -37,23 +37,27 @@ def line_passes(line: Column, max_symbols: float = 0.5, max_pipes: int = 1, max_
     doubled exclamation marks than ``max_shouts`` for each word, or a phrase of
     boilerplate.
     """
-    words = F.size(F.split(F.trim(line), r"[\x20\x09-\x0D]+"))
+    words = F.size(F.split(F.btrim(line, F.lit(SPACES)), r"[\x20\x09-\x0D]+"))
     shouts = (F.length(line) - F.length(F.replace(line, F.lit("!!"), F.lit("")))) / 2
     return line.rlike(SENTENCE_END) & (_count(line, "|") <= max_pipes) & (_count(line, SYMBOLS) <= words * max_symbols) & (shouts <= words * max_shouts) & ~line.rlike(BOILERPLATE)
 
 
+def _after(ordered: Column, k: Column) -> Column:
+    return F.try_element_at(ordered, k + 2)
+
+
 def repeated_places(ordered: Column) -> Column:
     """Places of the three-word windows that occur twice or more, ascending.
 
-    ``ordered`` has the windows' (hash, place) pairs in order: equal neighbours
-    are repeats.  Windows are compared by a 64-bit hash.
+    ``ordered`` has the windows' (h, place) pairs in order: equal neighbours
+    are repeats.
     """
     return F.array_sort(
         F.filter(
             F.transform(
                 ordered,
                 lambda x, k: F.when(
-                    (x["h"] == F.try_element_at(ordered, k + 2)["h"]) | ((k > 0) & (x["h"] == F.try_element_at(ordered, F.when(k > 0, k).otherwise(1))["h"])),
+                    (x["h"] == _after(ordered, k)["h"]) | ((k > 0) & (x["h"] == F.try_element_at(ordered, F.when(k > 0, k).otherwise(1))["h"])),
                     x["i"],
                 ),
             ),
@@ -62,6 +66,10 @@ def repeated_places(ordered: Column) -> Column:
     )
 
 
+def window_text(w: Column, i: Column) -> Column:
+    return F.concat_ws(" ", w[i], w[i + 1], w[i + 2])
+
+
 def quality_features(docs: DataFrame, min_words: int = 50, max_repeat: int = 50, min_kept: float = 0.5, carry: list[Column] | None = None) -> DataFrame:
     """One row for each document with the base counts, the verdict and the text of the lines that stay.
 
@@ -86,7 +94,13 @@ def quality_features(docs: DataFrame, min_words: int = 50, max_repeat: int = 50,
             F.sort_array(F.transform("hashes", lambda h, i: F.struct(h.alias("h"), i.alias("i")))),
         ),
     )
-    d = d.withColumn("places", repeated_places(F.col("ordered")))
+    # windows are grouped by a hash; where two that differ have the same one, by their words
+    o = F.col("ordered")
+    meet = F.transform(o, lambda x, k: (x["h"] == _after(o, k)["h"]) & (window_text(w, x["i"]) != window_text(w, _after(o, k)["i"])))
+    d = d.withColumn("clash", F.coalesce(F.array_contains(meet, True), F.lit(False)))
+    by_words = F.when(F.col("clash"), F.sort_array(F.transform("hashes", lambda h, i: F.struct(window_text(w, i).alias("h"), i.alias("i")))))
+    d = d.withColumn("by_words", by_words)
+    d = d.withColumn("places", F.when(F.col("clash"), repeated_places(F.col("by_words"))).otherwise(repeated_places(o)))
     p = F.col("places")
     d = d.select(
         "doc_id",
@@ -105,19 +119,17 @@ def quality_features(docs: DataFrame, min_words: int = 50, max_repeat: int = 50,
     d = d.withColumn("kept_chars", F.aggregate(F.filter("good", lambda x: x.rlike(r"[^\x20\x09-\x0D]")), F.lit(0).cast("long"), lambda a, x: a + F.length(x)))
     failed = (F.col("n_words") < min_words) | (100 * F.col("n_repeat_words") > max_repeat * F.col("n_words"))
     d = d.withColumn("base_failed", failed)
-    return d.select(
-        "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed",
-        (~F.col("base_failed") & (F.col("kept_chars") >= min_kept * F.col("full_chars"))).alias("kept"),
-        "full_chars", "kept_chars", F.array_join("good", "\n").alias("clean_text"), *names,
-    )
+    kept = (~F.col("base_failed") & (F.col("kept_chars") >= min_kept * F.col("full_chars"))).alias("kept")
+    d = d.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", kept, "full_chars", "kept_chars", F.array_join("good", "\n").alias("clean_text"), *names)
+    # a generator is a fence: a caller's filter stays above it and does not evaluate the features anew for each array element
+    return d.select(F.inline(F.array(F.struct(*d.columns))))
 
 
 def clean_documents(docs: DataFrame, **rules) -> DataFrame:
     """The documents that stay, with their failing lines removed and n_chars renewed; all columns are kept."""
     others = [c for c in docs.columns if c not in ("doc_id", "text", "n_chars")]
     f = quality_features(docs, **rules, carry=[F.col(f"`{c}`") for c in others])
-    # a numbered row keeps the filter above the features; below them it would evaluate them anew for each array element
-    f = f.withColumn("row", F.monotonically_increasing_id()).where(F.col("kept") & (F.col("row") >= 0))
+    f = f.where("kept")
     new = {"doc_id": F.col("doc_id"), "text": F.col("clean_text"), "n_chars": F.length("clean_text").cast("long")}
     new |= {c: F.col(f"carried_{i}") for i, c in enumerate(others)}
     return f.select(*[new[c].alias(c) for c in docs.columns])
