@@ -90,7 +90,7 @@ AL = r"""WITH tp AS (
     CASE WHEN kind = 'P' AND lref = rref AND rrev THEN 2 ELSE 0 END AS proper,
     CASE ln % 3 WHEN 0 THEN 'NM:i:' || nm || chr(9) || 'RG:Z:rg' || ln || chr(9) || 'BC:Z:' || lib WHEN 1 THEN 'RG:Z:rg' || ln || chr(9) || 'BC:Z:' || lib || chr(9) || 'NM:i:' || nm
       ELSE 'BC:Z:' || lib || chr(9) || 'NM:i:' || nm || chr(9) || 'RG:Z:rg' || ln END AS tagtext FROM tr
-), al AS (
+), al AS MATERIALIZED (
   SELECT tid * 10 + part AS seq, tid, qname, flag::INT AS flag, ref_id::INT AS ref_id, pos, ((pk + ln) % 61)::INT AS mapq, cigar, mate_ref_id::INT AS mate_ref_id, mate_pos, tlen, bases,
     array_to_string(list_transform(range(24), lambda i: chr((33 + (cents * (i + o) + pk * 7 + i * i) % 41)::INT)), '') AS quals, tagtext, lib, u5, rev,
     list_sum(list_transform(range(24), lambda i: CASE WHEN (cents * (i + o) + pk * 7 + i * i) % 41 >= 15 THEN (cents * (i + o) + pk * 7 + i * i) % 41 ELSE 0 END))::BIGINT AS score, sp,
@@ -111,14 +111,15 @@ AL = r"""WITH tp AS (
 """
 
 #: Adds the primary mapped ends, pairs and fragments to :data:`AL`; ``{lib}`` is the library part of keys.
-MARKS = AL + r""", en AS (SELECT * FROM al WHERE flag & 2308 = 0),
-e1 AS (SELECT tid, lib, ref_id, u5, rev, pos, score, end_no, seq, count(*) OVER (PARTITION BY tid) AS ends, row_number() OVER (PARTITION BY tid ORDER BY ref_id, u5, rev, end_no) AS k FROM en),
-pr AS (SELECT a.tid, {lib} AS klib, a.ref_id AS ra, a.u5 AS ua, a.rev AS va, b.ref_id AS rb, b.u5 AS ub, b.rev AS vb, a.pos, {score} AS score, a.seq AS sa, b.seq AS sb
-  FROM e1 a JOIN e1 b ON a.tid = b.tid AND a.k = 1 AND b.k = 2),
-fr AS (SELECT tid, {flib} AS klib, ref_id, u5, rev, pos, {fscore} AS score, seq FROM e1 WHERE ends = 1),
-pk2 AS (SELECT *, row_number() OVER w AS rn, count(*) OVER (PARTITION BY klib, ra, ua, va, rb, ub, vb) AS n, first_value(tid) OVER w AS rep FROM pr WINDOW w AS (PARTITION BY klib, ra, ua, va, rb, ub, vb ORDER BY score DESC, {tie} tid)),
+MARKS = AL + r""", e1 AS (SELECT tid, lib, ref_id, u5, rev, pos, score, seq, row_number() OVER (PARTITION BY tid ORDER BY ref_id, u5, rev, end_no) AS k FROM al WHERE flag & 2308 = 0),
+e2 AS MATERIALIZED (SELECT tid, any_value(lib) AS lib, count(*) AS ends, sum(score)::BIGINT AS total,
+  any_value(ref_id) FILTER (WHERE k = 1) AS ra, any_value(u5) FILTER (WHERE k = 1) AS ua, any_value(rev) FILTER (WHERE k = 1) AS va, any_value(pos) FILTER (WHERE k = 1) AS pos, any_value(seq) FILTER (WHERE k = 1) AS sa,
+  any_value(ref_id) FILTER (WHERE k = 2) AS rb, any_value(u5) FILTER (WHERE k = 2) AS ub, any_value(rev) FILTER (WHERE k = 2) AS vb, any_value(seq) FILTER (WHERE k = 2) AS sb FROM e1 GROUP BY tid),
+pr AS (SELECT tid, {lib} AS klib, ra, ua, va, rb, ub, vb, pos, {score} AS score, sa, sb FROM e2 WHERE ends = 2),
+fr AS (SELECT tid, {lib} AS klib, ra AS ref_id, ua AS u5, va AS rev, pos, {score} AS score, sa AS seq FROM e2 WHERE ends = 1),
+pk2 AS MATERIALIZED (SELECT *, row_number() OVER w AS rn, count(*) OVER (PARTITION BY klib, ra, ua, va, rb, ub, vb) AS n, first_value(tid) OVER w AS rep FROM pr WINDOW w AS (PARTITION BY klib, ra, ua, va, rb, ub, vb ORDER BY score DESC, {tie} tid)),
 pe AS (SELECT klib, ra AS ref_id, ua AS u5, va AS rev FROM pr UNION SELECT klib, rb, ub, vb FROM pr),
-fk AS (SELECT f.*, row_number() OVER w AS rn, count(*) OVER (PARTITION BY f.klib, f.ref_id, f.u5, f.rev) AS n, first_value(tid) OVER w AS rep, pe.u5 IS NOT NULL AS hit
+fk AS MATERIALIZED (SELECT f.*, row_number() OVER w AS rn, count(*) OVER (PARTITION BY f.klib, f.ref_id, f.u5, f.rev) AS n, first_value(tid) OVER w AS rep, pe.u5 IS NOT NULL AS hit
   FROM fr f LEFT JOIN pe ON f.klib = pe.klib AND f.ref_id = pe.ref_id AND f.u5 = pe.u5 AND f.rev = pe.rev WINDOW w AS (PARTITION BY f.klib, f.ref_id, f.u5, f.rev ORDER BY f.score DESC, {ftie} f.tid)),
 mk AS (SELECT tid, 'pair' AS kind, rep, n AS set_size FROM pk2 WHERE rn > 1 UNION ALL SELECT tid, 'fragment', CASE WHEN hit THEN NULL ELSE rep END, n FROM fk WHERE hit OR rn > 1)
 """
@@ -126,5 +127,4 @@ mk AS (SELECT tid, 'pair' AS kind, rep, n AS set_size FROM pk2 WHERE rn > 1 UNIO
 
 def marks_sql(by_library: bool = False, tie: str = "sorted", coarse: bool = False) -> str:
     """:data:`MARKS` for the given options."""
-    coarse_of = lambda x: f"({x}) // 64" if coarse else x
-    return MARKS.format(lib="a.lib" if by_library else "''", flib="lib" if by_library else "''", score=coarse_of("a.score + b.score"), fscore=coarse_of("score"), tie="pos," if tie == "sorted" else "", ftie="f.pos," if tie == "sorted" else "")
+    return MARKS.format(lib="lib" if by_library else "''", score="total // 64" if coarse else "total", tie="pos," if tie == "sorted" else "", ftie="f.pos," if tie == "sorted" else "")

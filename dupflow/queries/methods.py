@@ -265,7 +265,7 @@ def flt_mapq(spark, sf):
 
 
 _FLAGGED = """, mr AS (SELECT sa AS seq FROM pk2 WHERE rn > 1 UNION ALL SELECT sb FROM pk2 WHERE rn > 1 UNION ALL SELECT seq FROM fk WHERE hit OR rn > 1),
-ma AS (SELECT al.*, CASE WHEN seq IN (SELECT seq FROM mr) THEN 1 ELSE 0 END AS dup FROM al) """
+ma AS (SELECT al.*, CASE WHEN mr.seq IS NULL THEN 0 ELSE 1 END AS dup FROM al LEFT JOIN mr ON al.seq = mr.seq) """
 _MARKED = marks_sql() + _FLAGGED
 _MARKED_COLS = CORE_SQL.replace("flag", "flag + 1024 * dup AS flag")
 
