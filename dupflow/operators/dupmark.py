@@ -45,7 +45,7 @@ def pairs(templates: DataFrame) -> DataFrame:
     score = F.col("score1") + F.col("score2")
     return both.select(
         "tid", "klib", pick("ref_id", True).alias("ra"), pick("u5", True).alias("ua"), pick("rev", True).alias("va"), pick("ref_id", False).alias("rb"), pick("u5", False).alias("ub"), pick("rev", False).alias("vb"),
-        pick("pos", True).alias("pos"), F.floor(score / F.col("coarse")).cast("long").alias("score"), pick("seq", True).alias("sa"), pick("seq", False).alias("sb"), pick("pos", False).alias("pos_b"),
+        pick("pos", True).alias("pos"), F.floor(score / F.col("coarse")).cast("long").alias("score"), pick("seq", True).alias("sa"), pick("seq", False).alias("sb"), pick("pos", False).alias("pos_b"), F.least("seq1", "seq2").alias("first_seq"),
     )
 
 
@@ -53,19 +53,20 @@ def fragments(templates: DataFrame) -> DataFrame:
     """Templates with one mapped end."""
     alone = templates.where(F.col("ref_id1").isNull() | F.col("ref_id2").isNull())
     it = lambda c: F.coalesce(f"{c}1", f"{c}2").alias(c)
-    return alone.select("tid", "klib", it("ref_id"), it("u5"), it("rev"), it("pos"), F.floor(F.coalesce("score1", "score2") / F.col("coarse")).cast("long").alias("score"), it("seq"))
+    return alone.select("tid", "klib", it("ref_id"), it("u5"), it("rev"), it("pos"), F.floor(F.coalesce("score1", "score2") / F.col("coarse")).cast("long").alias("score"), it("seq"), F.coalesce("seq1", "seq2").alias("first_seq"))
 
 
 def rank_of(tie: str = "sorted") -> Column:
     """Least is best: higher score, then (sorted) the place in the sorted file, then the input order."""
-    return F.struct((-F.col("score")).alias("neg"), *([F.col("pos")] if tie == "sorted" else []), F.col("tid"))
+    return F.struct((-F.col("score")).alias("neg"), *([F.col("pos")] if tie == "sorted" else []), F.col("first_seq"), F.col("tid"))
 
 
 def _losers_agg(rows: DataFrame, key: list[str], tie: str) -> DataFrame:
     """Rows that are not their key's best, with the best's template and the size of the set.
 
-    The best of a key is a partial and final aggregate, so a key of any size
-    needs one row of memory, and a hot key is no bottleneck.
+    The best of a key is a partial and final aggregate, so electing it needs one
+    row of memory however many rows a key has.  Rows then meet their key's best
+    by a join, where a hot key is left to the engine's split of skewed parts.
     """
     best = rows.groupBy(*key).agg(F.min(rank_of(tie))["tid"].alias("rep"), F.count("*").alias("set_size")).where(F.col("set_size") > 1)
     return rows.join(best, key).where(F.col("tid") != F.col("rep"))
@@ -98,7 +99,7 @@ def mark_fragments(templates: DataFrame, how: str = "agg", tie: str = "sorted")
     if how == "window":
         lost = _losers_window(f, FRAGMENT_KEY, tie).select(*f.columns, "rep", "set_size")
         at = f.join(places, FRAGMENT_KEY).withColumn("set_size", F.count("*").over(Window.partitionBy(*FRAGMENT_KEY)))
-        marked = at.select(*f.columns, F.lit(None).cast("decimal(38,0)").alias("rep"), "set_size").unionByName(lost.join(places, FRAGMENT_KEY, "left_anti").select(*f.columns, "rep", "set_size")).withColumn("hit", F.col("rep").isNull())
+        marked = at.select(*f.columns, F.lit(None).cast(f.schema["tid"].dataType).alias("rep"), "set_size").unionByName(lost.join(places, FRAGMENT_KEY, "left_anti").select(*f.columns, "rep", "set_size")).withColumn("hit", F.col("rep").isNull())
     return marked.withColumn("rep", F.when(~F.coalesce("hit", F.lit(False)), F.col("rep"))).drop("hit")
 
 
@@ -164,5 +165,5 @@ def brute_mark(digests: DataFrame) -> DataFrame:
     for k in PAIR_KEY:
         c = F.col(k) == F.col(f"o_{k}")
         same = c if same is None else same & c
-    better = F.struct(-F.col("o_score"), F.col("o_pos"), F.col("o_tid")) < F.struct(-F.col("score"), F.col("pos"), F.col("tid"))
+    better = F.struct(-F.col("o_score"), F.col("o_pos"), F.col("o_first_seq")) < F.struct(-F.col("score"), F.col("pos"), F.col("first_seq"))
     return p.join(other, same & better, "left_semi").select("tid")

@@ -80,7 +80,7 @@ def compress_payloads(df: DataFrame, column: str, codec_name: str = "software")
         c = codec(codec_name)
         for b in batches:
             rows = [(x or "").encode() if not isinstance(x, bytes) else x for x in b.column(b.schema.get_field_index(column)).to_pylist()]
-            packed = [c.compress(x) for x in rows]
+            packed = [c.compress(x, i) for i, x in enumerate(rows)]
             back = [zlib.decompress(x, 31) for x in packed]
             cols = [b.column(b.schema.get_field_index(k)) for k in keep]
             yield pa.RecordBatch.from_arrays([*cols, *[pa.array(v, pa.int64()) for v in ([len(x) for x in rows], [len(x) for x in packed], [zlib.crc32(x) for x in rows], [zlib.crc32(x) for x in back])]], names=[*keep, "raw_len", "packed_len", "crc", "back_crc"])

@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from dupflow import schema as S
+from dupflow.plans.pool import pool
 
 LAST_REF = 2147483647
 
@@ -34,7 +35,11 @@ def overlay_sorted(records: DataFrame, marks: DataFrame) -> DataFrame:
 
     Mark rows carry the sort key of the record they mark and ride along; after
     the range partition the window over that key needs no second exchange.
+    Marks are written first: the range partition samples its input, which would
+    otherwise run the whole marking twice.  ``records`` should be pooled for
+    the same reason.
     """
+    marks = pool(marks.select("seq", "ref_id", "pos"), "storage")
     nothing = [F.lit(None).cast(records.schema[c].dataType).alias(c) for c in records.columns if c not in ("seq", "ref_id", "pos")]
     riders = marks.select("seq", F.col("ref_id").cast("int").alias("ref_id"), "pos", *nothing).select(*records.columns)
     both = records.withColumn("__mark", F.lit(0)).unionByName(riders.withColumn("__mark", F.lit(1))).withColumn("__ref", ref_order())

@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass, field
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 from dupflow.operators.sortorder import overlay_sorted, sorted_scan
 from dupflow.plans.digest import digest
 from dupflow.plans.plugins import AnalyzerPlugin, Plugin
-from dupflow.plans.pool import pool
+from dupflow.plans.pool import available_storage, choose_mode, input_bytes, pool
 
 
 @dataclass
@@ -34,7 +34,12 @@ def compile_plan(plugins: list[Plugin]) -> Plan:
 class Pipeline:
     """``Pipeline(records).attach(p).attach(q).run()`` gives the output records in output order."""
 
-    def __init__(self, records: DataFrame, mode: str = "storage", path: str | None = None):
+    def __init__(self, records: DataFrame, mode: str = "storage", path: str | None = None, size: int | None = None):
+        """``mode`` is ``memory``, ``storage`` or ``auto``: memory if ``size`` bytes of input fit there."""
+        if mode == "auto":
+            if size is None:
+                raise ValueError("the automatic choice needs the size of the input")
+            mode = choose_mode(size, available_storage(records.sparkSession))
         self.records, self.mode, self.path = records, mode, path
         self.plugins: list[Plugin] = []
 
@@ -68,8 +73,21 @@ class Pipeline:
         pooled = pool(self.filtered(plan), self.mode, self.path)
         return [a.analyze(digest(pooled, a.extras())) for a in plan.analyzers if isinstance(a, AnalyzerPlugin)]
 
-    def write(self, out: str) -> DataFrame:
-        """Runs and writes block-compressed files; returns the block index."""
+    def write(self, out: str, header=None, program: str = "dupflow") -> DataFrame:
+        """Runs and writes block-compressed files, the input's header with them; returns the block index."""
         from dupflow.sources.baf import write_baf
 
-        return write_baf(self.run(), out, compile_plan(self.plugins).codec)
+        plan = compile_plan(self.plugins)
+        kept = header and header.with_program(program, "coordinate" if plan.kind == "pooled" else None)
+        return write_baf(self.run(), out, plan.codec, header=kept)
+
+
+def convert_files(spark: SparkSession, path: str, out: str, plugins: list[Plugin], mode: str = "auto") -> DataFrame:
+    """File to file: reads text alignments with their header, runs the plug-ins, writes block files; returns the block index."""
+    from dupflow.sources.taf import read_taf
+
+    records, header = read_taf(spark, path)
+    p = Pipeline(records.drop("_corrupt"), mode, size=input_bytes(spark, path))
+    for x in plugins:
+        p.attach(x)
+    return p.write(out, header)

@@ -74,22 +74,26 @@ class RegionFilter(FilterPlugin):
 
 
 class RegionSetFilter(FilterPlugin):
-    """Records that touch any interval of a panel (ref, start, end): bins, an equal join and a check.
+    """Records that touch any interval of a panel (ref, start, end); rows and their order stay as they are.
 
-    Panel bins are distinct and small beside the records; a record is kept once
-    however many intervals it touches.
+    A record that spans at most ``bin_size`` bases is looked up by the bin of
+    its start alone, as the panel lists each interval in one bin more; the few
+    longer ones are held against all intervals of their reference.  Both are
+    semi-joins whose panel side is broadcast by the engine's own size check, so
+    the records are neither exploded nor shuffled.
     """
 
     def __init__(self, regions: DataFrame, bin_size: int = 1000):
         super().__init__(regions=regions, bin_size=bin_size)
 
     def apply(self, records: DataFrame) -> DataFrame:
-        b = self.params["bin_size"]
-        panel = self.params["regions"].select(F.col("ref").alias("p_ref"), F.col("start").alias("p_start"), F.col("end").alias("p_end"), F.explode(F.sequence(F.floor(F.col("start") / b), F.floor(F.col("end") / b))).alias("p_bin"))
-        end = F.col("pos") + F.greatest(span(F.col("cigar")), F.lit(1)) - 1
-        reads = records.where(F.col("ref_id") >= 0).withColumn("__end", end).withColumn("__bin", F.explode(F.sequence(F.floor(F.col("pos") / b), F.floor(F.col("__end") / b))))
-        hit = reads.join(panel, (F.col("ref_id") == F.col("p_ref")) & (F.col("__bin") == F.col("p_bin")) & (F.col("pos") <= F.col("p_end")) & (F.col("__end") >= F.col("p_start")), "left_semi")
-        return hit.drop("__end", "__bin").dropDuplicates(["seq"])
+        b, regions = self.params["bin_size"], self.params["regions"]
+        panel = regions.select(F.col("ref").alias("p_ref"), F.col("start").alias("p_start"), F.col("end").alias("p_end"))
+        bins = panel.select("*", F.explode(F.sequence(F.floor(F.col("p_start") / b) - 1, F.floor(F.col("p_end") / b))).alias("p_bin"))
+        covered = F.greatest(span(F.col("cigar")), F.lit(1))
+        touches = (F.col("ref_id") == F.col("p_ref")) & (F.col("pos") <= F.col("p_end")) & (F.col("pos") + covered - 1 >= F.col("p_start"))
+        short = records.where(covered <= b).join(bins, touches & (F.floor(F.col("pos") / b) == F.col("p_bin")), "left_semi")
+        return short.unionAll(records.where(covered > b).join(panel, touches, "left_semi"))
 
 
 class FlagFilter(FilterPlugin):

@@ -12,7 +12,7 @@ from dupflow.operators import baselines, compare, dupmark, pack, sortorder
 from dupflow.operators.dupmark import PAIR_KEY
 from dupflow.plans import pool as P
 from dupflow.plans.digest import digest
-from dupflow.plans.pipeline import Pipeline
+from dupflow.plans.pipeline import Pipeline, convert_files
 from dupflow.plans.plugins import CoverageAnalyzer, DuplicateMarker, FlagFilter, FlagStat, InsertSize, MapqFilter, RegionFilter, RegionSetFilter
 from dupflow.registry import query, table
 from dupflow.shared import shared_path
@@ -224,7 +224,7 @@ def pair_pivot(spark, sf):
 
 @query(AL + "SELECT least(floor((ref_id * 1000000 + greatest(u5, 0)) * 32 / 25000000), 31)::INT AS piece, count(*) AS n, min(u5)::BIGINT AS low, max(u5)::BIGINT AS high FROM al WHERE ref_id >= 0 GROUP BY 1")
 def decompose_nb(spark, sf):
-    return P.decompose(dg(spark, sf), 8, 4).groupBy("piece").agg(F.count("*").alias("n"), F.min("u5").alias("low"), F.max("u5").alias("high"))
+    return P.decompose(dg(spark, sf), 8, 4, [1_000_000] * 25).groupBy("piece").agg(F.count("*").alias("n"), F.min("u5").alias("low"), F.max("u5").alias("high"))
 
 
 # ---- plug-ins -----------------------------------------------------------------
@@ -470,7 +470,7 @@ def sort_unmapped_last(spark, sf):
 
 @query(_MARKED + "SELECT seq::VARCHAR AS seq, flag + 1024 * dup AS flag FROM ma")
 def overlay_sorted(spark, sf):
-    a = alignments(spark, sf)
+    a = P.pool(alignments(spark, sf))
     return sortorder.overlay_sorted(a, dupmark.mark_records(digest(a))).select(st("seq"), "flag")
 
 
@@ -510,14 +510,67 @@ def baf_region_read(spark, sf):
     return shown(RegionFilter(*FILTER_REGION).apply(baf.read_baf(spark, path, FILTER_REGION)))
 
 
+@query(AL + SHOWN + f"al WHERE {_OVER}")
+def baf_region_unsorted(spark, sf):
+    """A region of a file in input order, as the filter-only plan writes it."""
+    path = shared_path(spark, "baf")
+    baf.write_baf(alignments(spark, sf), path)
+    return shown(RegionFilter(*FILTER_REGION).apply(baf.read_baf(spark, path, FILTER_REGION)))
+
+
+def taf_files(spark, sf, files: int = 5) -> str:
+    """The alignments as text files in input order, a header before the first line; the reference dictionary is ``nation``."""
+    names = [r[0] for r in table(spark, sf, "nation").orderBy("n_nationkey").select("n_name").collect()]  # the reference dictionary
+    head = ["@HD\tVN:1.5\tSO:unsorted", *[f"@SQ\tSN:{n}\tLN:1000000" for n in names], "@RG\tID:rg1\tLB:one"]
+    lines = taf.render_taf(alignments(spark, sf), names)
+    both = spark.createDataFrame([(i - len(head), x) for i, x in enumerate(head)], "seq long, value string").select(F.col("seq").cast("decimal(38,0)").alias("seq"), "value").unionAll(lines)
+    path = shared_path(spark, "taf")
+    P.pool(both).repartitionByRange(files, "seq").sortWithinPartitions("seq").select("value").write.text(path)
+    return path
+
+
+@query(_MARKED + f"SELECT {_MARKED_COLS}, tagtext, CASE WHEN contains(tagtext, 'RG:Z:rg1') THEN 'one' ELSE regexp_extract(tagtext, 'RG:Z:(rg[0-9]+)', 1) END AS lib FROM ma")
+def wl_taf_to_baf(spark, sf):
+    """File to file: header and lines in, marked, sorted and compressed blocks out, then read again."""
+    out = shared_path(spark, "baf")
+    convert_files(spark, taf_files(spark, sf), out, [DuplicateMarker()])
+    return shown(baf.read_baf(spark, out, seq_type="long"))
+
+
+@query("SELECT 'HD' AS kind, 0 AS place, NULL AS name, 'coordinate' AS sort_order UNION ALL SELECT 'SQ', n_nationkey + 1, n_name, NULL FROM nation UNION ALL SELECT 'RG', (SELECT count(*)::INT FROM nation) + 1, NULL, NULL UNION ALL SELECT 'PG', (SELECT count(*)::INT FROM nation) + 2, NULL, NULL")
+def hdr_kept(spark, sf):
+    """The header of a converted file: all lines in their order, the sort order renewed, a program line added."""
+    out = shared_path(spark, "baf")
+    convert_files(spark, taf_files(spark, sf, 2), out, [DuplicateMarker()])
+    rows = [(k, i, f.get("SN"), f.get("SO")) for k, i, f in baf.read_baf_header(out).rows()]
+    return spark.createDataFrame(rows, "kind string, place int, name string, sort_order string")
+
+
+@query(AL + "SELECT qname, quals FROM al WHERE ref_id = 5 AND mapq = 7")
+def addr_fetch(spark, sf):
+    """Lines fetched from text files by file number and byte offset."""
+    path = taf_files(spark, sf)
+    records, header = taf.read_taf(spark, path)
+    wanted = P.with_locator(records).where("ref_id = 5 and mapq = 7").select("locator")
+    return taf.parse_taf(P.fetch_lines(wanted, path), refs=header.refs()).select("qname", "quals")
+
+
+@query(AL + SHOWN.replace(", lib FROM", " FROM") + "al")
+def src_baf(spark, sf):
+    """The block files as a data source of their own, read without the index."""
+    path = shared_path(spark, "baf")
+    baf.write_baf(alignments(spark, sf), path, "dual")
+    baf.register(spark)
+    return taf.parse_taf(spark.read.format("baf").load(path)).select(*CORE, tag_text())
+
+
 # ---- baselines ------------------------------------------------------------------------
 
 
 @query(AL + _RANKED.format(o="CASE WHEN ref_id < 0 THEN 2147483647 ELSE ref_id END, pos, seq"))
 def bl_sort_pass(spark, sf):
     out = baselines.sort_pass(alignments(spark, sf), shared_path(spark, "sorted"))
-    order = Window.partitionBy(F.lit(1)).orderBy(sortorder.ref_order(), "pos", "seq")
-    return out.select("seq", "ref_id", "pos").withColumn("rank", F.row_number().over(order).cast("long")).select(st("seq"), "ref_id", "pos", "rank")
+    return _placed(sortorder.sorted_scan(out.select("seq", "ref_id", "pos"))).select(st("seq"), "ref_id", "pos", "rank")
 
 
 @query(_MARKED + "SELECT seq::VARCHAR AS seq, flag + 1024 * dup AS flag FROM ma")

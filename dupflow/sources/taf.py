@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import os
+import re
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -16,31 +17,40 @@ from dupflow.shared import local_path
 FIELDS = 11
 
 
-def ref_name(ref: Column) -> Column:
-    return F.when(ref < 0, "*").otherwise(F.concat(F.lit("ref"), ref.cast("string")))
+def ref_name(ref: Column, refs: list[str] | None = None) -> Column:
+    """Name of a reference number: its place in ``refs``, or ``ref<number>``."""
+    named = F.concat(F.lit("ref"), ref.cast("string")) if not refs else F.get(F.array(*map(F.lit, refs)), ref)
+    return F.when(ref < 0, "*").otherwise(named)
 
 
-def render_line(lossless_mate: bool = True) -> Column:
+def render_line(refs: list[str] | None = None) -> Column:
     """One line of eleven tab-joined fields and the optional ones, in their order."""
-    mate = F.when((F.col("mate_ref_id") == F.col("ref_id")) & (F.col("ref_id") >= 0), "=").otherwise(ref_name(F.col("mate_ref_id")))
+    mate = F.when((F.col("mate_ref_id") == F.col("ref_id")) & (F.col("ref_id") >= 0), "=").otherwise(ref_name(F.col("mate_ref_id"), refs))
     tags = F.transform("tags", lambda t: F.concat_ws(":", t["tag"], t["type"], t["value"]))
-    fixed = ["qname", "flag", ref_name(F.col("ref_id")), "pos", "mapq", "cigar", mate, "mate_pos", "tlen", "bases", "quals"]
+    fixed = ["qname", "flag", ref_name(F.col("ref_id"), refs), "pos", "mapq", "cigar", mate, "mate_pos", "tlen", "bases", "quals"]
     fixed = [F.col(c) if isinstance(c, str) else c for c in fixed]
     return F.concat_ws("\t", *[c.cast("string") for c in fixed], F.array_join(tags, "\t"))
 
 
-def render_taf(records: DataFrame) -> DataFrame:
+def render_taf(records: DataFrame, refs: list[str] | None = None) -> DataFrame:
     """(seq, value): each record as a line."""
-    return records.select("seq", render_line().alias("value"))
+    return records.select("seq", render_line(refs).alias("value"))
 
 
-def _ref(name: Column) -> Column:
-    return F.when(name == "*", -1).otherwise(F.regexp_extract(name, r"^ref([0-9]+)$", 1).try_cast("int"))
+def _ref(name: Column, refs: list[str] | None = None) -> Column:
+    """Number of a reference name: its place in ``refs``, or the digits of ``ref<digits>``; -1 for none."""
+    if refs is None:
+        known = F.regexp_extract(name, r"^ref([0-9]+)$", 1).try_cast("int")
+    else:
+        known = F.element_at(F.create_map(*[F.lit(x) for i, r in enumerate(refs) for x in (r, i)]), name) if refs else F.lit(None).cast("int")
+    return F.when(name == "*", -1).otherwise(known)
 
 
-def parse_taf(lines: DataFrame, mode: str = "permissive", keep: list[str] | None = None) -> DataFrame:
+def parse_taf(lines: DataFrame, mode: str = "permissive", keep: list[str] | None = None, refs: list[str] | None = None) -> DataFrame:
     """Typed records from lines in ``value``; header lines (first character ``@``) are no records.
 
+    ``refs`` are the reference names in the order of the header.
+
     ``permissive`` keeps a line that has too few fields or a bad number as nulls
     with its text in ``_corrupt``; ``lenient`` drops it; ``strict`` fails.
     Parsing never leaves the JVM.
@@ -48,7 +58,7 @@ def parse_taf(lines: DataFrame, mode: str = "permissive", keep: list[str] | None
     keep = keep or []
     p = lines.where(~F.col("value").startswith("@")).select(*keep, "value", F.split("value", "\t").alias("p"))
     at = lambda i: F.get(F.col("p"), F.lit(i))
-    ref, mate = _ref(at(2)), F.when(at(6) == "=", _ref(at(2))).otherwise(_ref(at(6)))
+    ref, mate = _ref(at(2), refs), F.when(at(6) == "=", _ref(at(2), refs)).otherwise(_ref(at(6), refs))
     tag = lambda t: F.struct(F.substring_index(t, ":", 1).alias("tag"), F.get(F.split(t, ":"), F.lit(1)).alias("type"), F.substr(t, F.length(F.substring_index(t, ":", 2)) + 2).alias("value"))
     tags = F.when(F.size("p") > FIELDS, F.transform(F.slice("p", F.lit(FIELDS + 1), F.greatest(F.size("p") - FIELDS, F.lit(0))), tag)).otherwise(F.expr(f"cast(array() as array<{TAG}>)"))
     rows = p.select(
@@ -133,16 +143,21 @@ def cut_positions(data: bytes, block_bytes: int, own: str) -> list[tuple[int, in
     return out
 
 
+def data_files(path: str) -> list[str]:
+    """The files of a folder in name order, or the file itself; a file's place here is its number."""
+    path = local_path(path)
+    if os.path.isdir(path):
+        return sorted(os.path.join(path, n) for n in os.listdir(path) if not n.startswith((".", "_")))
+    return [path]
+
+
 class _BlockReader(DataSourceReader):
     def __init__(self, options: dict, lines: bool):
         self.path, self.block, self.own, self.lines = local_path(options["path"]), int(options.get("block_bytes", 65536)), options.get("own", "end"), lines
         self.task = int(options.get("task_bytes", 256 << 20))
 
     def partitions(self):
-        if os.path.isdir(self.path):
-            files = sorted(os.path.join(self.path, n) for n in os.listdir(self.path) if not n.startswith((".", "_")))
-        else:
-            files = [self.path]
+        files = data_files(self.path)
         out, per = [], max(1, self.task // self.block)
         for i, p in enumerate(files):
             size = os.path.getsize(p)
@@ -218,6 +233,67 @@ def read_lines(spark: SparkSession, path: str, block_bytes: int = 65536, own: st
     return spark.read.format("taf_lines").options(path=path, block_bytes=block_bytes, own=own).load()
 
 
+class Header:
+    """Header lines of an alignment file, kept as they are and in their order."""
+
+    def __init__(self, lines: list[str]):
+        self.lines = lines
+
+    def rows(self) -> list[tuple[str, int, dict[str, str]]]:
+        """(kind, place, fields) of each line."""
+        out = []
+        for i, line in enumerate(self.lines):
+            kind, *fields = line[1:].split("\t")
+            out.append((kind, i, dict(f.split(":", 1) for f in fields if ":" in f)))
+        return out
+
+    def refs(self) -> list[str]:
+        return [f["SN"] for kind, _, f in self.rows() if kind == "SQ"]
+
+    def lengths(self) -> list[int]:
+        return [int(f["LN"]) for kind, _, f in self.rows() if kind == "SQ"]
+
+    def libraries(self) -> dict[str, str]:
+        """Library of each read group that names one."""
+        return {f["ID"]: f["LB"] for kind, _, f in self.rows() if kind == "RG" and "ID" in f and "LB" in f}
+
+    def with_program(self, name: str, sort_order: str | None = None) -> Header:
+        """The header of an output: version and lines stay, a program line is added, the order of records renewed."""
+        lines = [re.sub(r"\tSO:[^\t]*", "", x) + f"\tSO:{sort_order}" if sort_order and x.startswith("@HD") else x for x in self.lines]
+        return Header([*lines, f"@PG\tID:{name}\tPN:{name}"])
+
+
+def read_header(spark: SparkSession, path: str) -> Header:
+    """The leading ``@`` lines of the first file; its size is that of the header, not of the input."""
+    first = sorted(f for f in spark.read.text(path).inputFiles())[:1]
+    if not first:
+        return Header([])
+    lines: list[str] = []
+    for row in spark.read.text(first[0]).toLocalIterator():
+        if not row["value"].startswith("@"):
+            break
+        lines.append(row["value"])
+    return Header(lines)
+
+
+def read_taf(spark: SparkSession, path: str, block_bytes: int = 65536, mode: str = "permissive") -> tuple[DataFrame, Header]:
+    """Records of text alignment files, and their header.
+
+    ``seq`` packs file number and byte offset, so it ascends in input order
+    without any coordination; ``tid`` is a 128-bit hash of the read name, as two
+    ends of a template share it; ``lib`` is the read group's library, or the
+    read group if the header names none.  Files, blocks, lines and fields are
+    read in one narrow stage.
+    """
+    header = read_header(spark, path)
+    lines = with_sequence(read_lines(spark, path, block_bytes), "offset").select("seq", "value")
+    records = parse_taf(lines, mode, keep=["seq"], refs=header.refs() or None)
+    group = F.get(F.transform(F.filter("tags", lambda t: t["tag"] == "RG"), lambda t: t["value"]), F.lit(0))
+    named = header.libraries()
+    lib = F.coalesce(F.element_at(F.create_map(*[F.lit(x) for kv in named.items() for x in kv]), group), group) if named else group
+    return records.withColumn("tid", F.unhex(F.md5(F.col("qname").cast("binary")))).withColumn("lib", lib), header
+
+
 def line_places(texts: DataFrame, id_col: str, text_col: str, block_bytes: int, own: str = "end") -> DataFrame:
     """Lines of texts in a column, each text a file of its own, with byte places and blocks.
 
