@@ -20,7 +20,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dupflow.llm.chunks import ChunkEncoder, batches_by_size, simple_words
+from dupflow.llm.chunks import ChunkEncoder, ENCODER_BATCH, batches_by_size, simple_words
 from dupflow.llm.common import text_or_empty
 from dupflow.llm.hf_tokens import little_endian
 
@@ -163,7 +163,7 @@ def encode_texts(df: DataFrame, path: str, pattern: str) -> DataFrame:
         c = coder(path, pattern)
         for batch in batches:
             texts = batch.column(1).to_pylist()
-            for lo, hi in batches_by_size(texts):
+            for lo, hi in batches_by_size(texts, ENCODER_BATCH):
                 ids = [np.frombuffer(x, "<i4") for x in c.encode(texts[lo:hi])]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, hi - lo), pa.array(ids, pa.list_(pa.int32()))], names=["doc_id", "ids"])
 
@@ -199,7 +199,7 @@ def coding_digest(df: DataFrame, path: str, pattern: str) -> DataFrame:
         for batch in batches:
             texts = batch.column(1).to_pylist()
             n, shas, datas = [], [], []
-            for lo, hi in batches_by_size(texts):
+            for lo, hi in batches_by_size(texts, ENCODER_BATCH):
                 for packed in c.encode(texts[lo:hi]):
                     ids = np.frombuffer(packed, "<u4").tolist()
                     n.append(len(ids))

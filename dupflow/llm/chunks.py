@@ -32,6 +32,10 @@ def simple_words(chunk: str) -> tuple[str, ...] | None:
     return None
 
 
+#: Characters of a batch for :class:`ChunkEncoder`: large, so that a batch has few distinct chunks.
+ENCODER_BATCH = 16_000_000
+
+
 class ChunkEncoder:
     """Maps texts to 32-bit ids through a bounded memo of chunks.
 
@@ -133,7 +137,7 @@ class ChunkEncoder:
         return [raw[a:b] for a, b in zip(cut, cut[1:], strict=False)]
 
 
-def batches_by_size(texts: list[str], limit: int = 16_000_000):
+def batches_by_size(texts: list[str], limit: int = 2_000_000):
     """Index ranges of ``texts`` of at most ``limit`` characters, or one text that is longer."""
     lo = size = 0
     for i, t in enumerate(texts):

@@ -20,7 +20,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from dupflow.llm.chunks import batches_by_size
+from dupflow.llm.chunks import ENCODER_BATCH, batches_by_size
 from dupflow.llm.common import text_or_empty
 
 WINDOW = 2048
@@ -148,7 +148,7 @@ def pack_documents(docs: DataFrame, vocab: str, end_id: int = 1, window: int = W
 
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for lo, hi in batches_by_size(texts):
+            for lo, hi in batches_by_size(texts, ENCODER_BATCH):
                 for doc_id, packed in zip(ids[lo:hi], encode(texts[lo:hi]), strict=True):
                     keep(packer.add(doc_id, packed + end))
                 if len(made[0]) > 5_000:

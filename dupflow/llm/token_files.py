@@ -29,7 +29,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from dupflow.llm.chunks import batches_by_size
+from dupflow.llm.chunks import ENCODER_BATCH, batches_by_size
 from dupflow.llm.common import open_shared, put_bytes, shared_path, text_or_empty
 
 #: Fixed values of the published seekable format.
@@ -153,7 +153,7 @@ def write_token_files(docs: DataFrame, out_dir: str, vocab: str, end_id: int | N
         encode, out = encoder(vocab).encode, TokenFileWriter()
         for batch in batches:
             ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for lo, hi in batches_by_size(texts):
+            for lo, hi in batches_by_size(texts, ENCODER_BATCH):
                 for doc_id, packed in zip(ids[lo:hi], encode(texts[lo:hi]), strict=True):
                     out.add(doc_id, packed + end)
         if out.ids:
