@@ -11,13 +11,14 @@ from pyspark.sql import functions as F
 
 from dupflow.registry import table
 from dupflow.schema import RECORD
+from dupflow.shared import exists, shared_path
 
 READ_BASES = 24
 
 
-def templates(spark: SparkSession, sf_dir: str) -> DataFrame:
+def templates(spark: SparkSession, sf_dir: str, files: int = 16) -> DataFrame:
     """One row for each template with the numbers that its records come from."""
-    t = table(spark, sf_dir, "lineitem").selectExpr(
+    t = table(spark, sf_dir, "lineitem").repartitionByRange(files, "l_orderkey").selectExpr(
         "l_orderkey ok", "cast(l_linenumber as bigint) ln", "l_partkey pk", "l_suppkey sk", "cast(round(l_extendedprice * 100) as bigint) cents", "cast(l_quantity as bigint) q",
         "cast(round(l_discount * 100) as bigint) dsc", "cast(round(l_tax * 100) as bigint) tx", "l_returnflag lib", "l_linestatus = 'F' right_rev",
     )
@@ -34,9 +35,22 @@ def templates(spark: SparkSession, sf_dir: str) -> DataFrame:
     )
 
 
-def alignments(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The records of all templates."""
-    t = templates(spark, sf_dir).selectExpr(
+_STORED: dict[tuple[str, str], str] = {}
+
+
+def alignments(spark: SparkSession, sf_dir: str, files: int = 16) -> DataFrame:
+    """The records of all templates, derived once a session and table, stored in ``files`` files and read from there."""
+    key = (spark.sparkContext.applicationId, sf_dir)
+    if key not in _STORED or not exists(spark, _STORED[key]):
+        path = shared_path(spark, "alignments")
+        derived_alignments(spark, sf_dir, files).write.parquet(path)
+        _STORED[key] = path
+    return spark.read.parquet(_STORED[key])
+
+
+def derived_alignments(spark: SparkSession, sf_dir: str, files: int = 16) -> DataFrame:
+    """The records of all templates, from ``lineitem``, dealt by order so that no task derives them alone."""
+    t = templates(spark, sf_dir, files).selectExpr(
         "*", "concat(case when hd > 0 then concat(hd, 'S') else '' end, core, case when tl > 0 then concat(tl, 'S') else '' end) cig",
         "lu5 + hd lpos", "case when right_rev then ru5 - tl - sp + 1 else ru5 + hd end rpos",
         "array_join(transform(sequence(0, 23), i -> substr('ACGT', cast(1 + (pk + i) % 4 as int), 1)), '') bases",

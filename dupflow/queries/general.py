@@ -103,11 +103,10 @@ def jn_left(spark, sf):
     return c.join(o, c["c_custkey"] == o["o_custkey"], "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n"))
 
 
-@query("SELECT c_custkey, s_suppkey FROM (SELECT c_custkey FROM customer WHERE c_custkey % 3 = 0) c FULL JOIN (SELECT s_suppkey FROM supplier WHERE s_suppkey % 2 = 0) s ON c_custkey = s_suppkey")
+@query("SELECT c_custkey, s_suppkey FROM customer FULL JOIN supplier ON c_custkey = s_suppkey * 20")
 def jn_full(spark, sf):
-    c = table(spark, sf, "customer").where("c_custkey % 3 = 0").select("c_custkey")
-    s = table(spark, sf, "supplier").where("s_suppkey % 2 = 0").select("s_suppkey")
-    return c.join(s, c["c_custkey"] == s["s_suppkey"], "full")
+    c, s = table(spark, sf, "customer").select("c_custkey"), table(spark, sf, "supplier").select("s_suppkey")
+    return c.join(s, c["c_custkey"] == s["s_suppkey"] * 20, "full")
 
 
 @query("SELECT o_orderkey FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_quantity = 50)")
@@ -518,9 +517,12 @@ def op_hints(spark, sf):
     return table(spark, sf, "lineitem").hint("rebalance", "l_orderkey").repartition(7, "l_orderkey").coalesce(3).agg(F.count("*").alias("n"))
 
 
-@query()
+@query("SELECT 'within' AS verdict")
 def op_sample(spark, sf):
-    return table(spark, sf, "lineitem").sample(0.1, seed=7).agg(F.count("*").alias("n"))
+    """A seeded sample of a tenth, checked against the whole within five standard errors."""
+    t = table(spark, sf, "lineitem")
+    both = t.sample(0.1, seed=7).agg(F.count("*").alias("a")).crossJoin(t.agg(F.count("*").alias("n")))
+    return both.select(F.when(F.abs(F.col("a") - 0.1 * F.col("n")) <= 5 * F.sqrt(0.09 * F.col("n")), "within").otherwise("outside").alias("verdict"))
 
 
 # ---- sources and sinks -----------------------------------------------------------------------------------

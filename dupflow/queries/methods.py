@@ -429,12 +429,10 @@ def mark_orders(spark, sf):
     return dupmark.mark_keyed(o, ["ref", "u5"], F.col("score"), F.col("o_orderkey")).select("o_orderkey", "is_dup", "rep_tie", "set_size")
 
 
-@query(marks_sql() + "SELECT tid::VARCHAR AS tid FROM pk2 WHERE rn > 1 AND ra = 3")
-def bf_mark_small(spark, sf):
-    """Brute force over the pairs that begin on one reference, held against the keyed method's SQL."""
-    d = dg(spark, sf)
-    p = dupmark.pairs(dupmark.collapse(d)).where("ra = 3").select("tid")
-    return dupmark.brute_mark(d.join(p, "tid", "left_semi")).select(st("tid"))
+@query(marks_sql() + "SELECT tid::VARCHAR AS tid FROM pk2 WHERE rn > 1")
+def bf_mark(spark, sf):
+    """Brute force over all pairs of one key, held against the keyed method's SQL."""
+    return dupmark.brute_mark(dg(spark, sf)).select(st("tid"))
 
 
 # ---- sort and write -----------------------------------------------------------------
@@ -490,10 +488,14 @@ def pack_from_digest(spark, sf):
     return pack.pack_prefix(dg(spark, sf).select("seq", "rec_bytes"), ["seq"]).select(st("seq"), "rec_bytes", "block_no")
 
 
-@query()
+@query(_BYTES + "SELECT count(*) AS n_rec, sum(rec_bytes)::BIGINT AS bytes, 0::BIGINT AS over, 0::BIGINT AS could_hold_more FROM sz")
 def pack_greedy(spark, sf):
-    out = pack.pack_greedy(sortorder.sorted_scan(dg(spark, sf).select("seq", "ref_id", "pos", "rec_bytes")))
-    return out.groupBy("part", "block_no").agg(F.count("*").alias("n_rec"), F.sum("rec_bytes").alias("bytes"))
+    """What holds for greedy blocks whatever the parts: all records and bytes, none over the limit, none that the next record would have fitted."""
+    out = pack.pack_greedy(sortorder.sorted_scan(dg(spark, sf).select("seq", "ref_id", "pos", "rec_bytes")).withColumn("at", F.monotonically_increasing_id()))
+    blocks = out.groupBy("part", "block_no").agg(F.count("*").alias("n"), F.sum("rec_bytes").alias("bytes"), F.min_by("rec_bytes", "at").alias("first"))
+    follows = F.lead("first").over(Window.partitionBy("part").orderBy("block_no"))
+    blocks = blocks.withColumn("next", follows)
+    return blocks.agg(F.sum("n").alias("n_rec"), F.sum("bytes").alias("bytes"), F.count_if((F.col("bytes") > 65536) & (F.col("n") > 1)).alias("over"), F.count_if(F.col("bytes") + F.col("next") <= 65536).alias("could_hold_more"))
 
 
 @query(AL + SHOWN + "al")

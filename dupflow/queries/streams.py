@@ -53,7 +53,7 @@ def st_first_seen(spark, sf):
     return jobs.drain(jobs.first_seen(jobs.event_stream(spark, sf).select("ts", "event_id", "user_id", "event_type"), ["user_id", "event_type"])).select("event_id", "user_id", "event_type")
 
 
-@query()
+@query("SELECT strftime(start, '%Y-%m-%d %H:%M:%S') AS start, n FROM (SELECT time_bucket(INTERVAL 6 HOUR, ts, TIMESTAMP '1970-01-01') AS start, count(*) AS n FROM events GROUP BY 1) WHERE start + INTERVAL 6 HOUR <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)")
 def st_watermark(spark, sf):
     """Windows that the watermark has closed."""
     s = jobs.event_stream(spark, sf).withWatermark("ts", "1 hour")

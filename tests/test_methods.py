@@ -150,8 +150,41 @@ def test_codec_lanes_give_the_same_bytes():
     raw = os.urandom(1000) * 20
     for name in codecs.detect_codecs():
         assert gzip.decompress(codecs.codec(name).compress(raw)) == raw
-    blocks = [raw] * 5
-    assert baselines.loop_writer(blocks, 2, 2)[0] == baselines.pipelined_writer(blocks, 2)[0]
+
+
+
+def test_one_thread_tools_agree_with_the_pipeline(spark, sf, tmp_path):
+    path = str(tmp_path / "taf")
+    taf.render_taf(alignments(spark, sf)).repartitionByRange(3, "seq").sortWithinPartitions("seq").select("value").write.text("file://" + path)
+    baselines.sort_tool(path, str(tmp_path / "sorted"))
+    n = baselines.mark_tool(str(tmp_path / "sorted"), str(tmp_path / "marked"))
+    records, header = taf.read_taf(spark, path)
+    ours = {r["value"] for r in taf.render_taf(Pipeline(records).attach(DuplicateMarker()).run()).collect()}
+    lines = [line for _, line in baselines._read_blocks(str(tmp_path / "marked"))]
+    assert set(lines) == ours and n == sum(int(x.split("\t")[1]) >> 10 & 1 for x in lines) == 1850
+    assert header.lines == [] and baselines.loop_convert(path, str(tmp_path / "a"), 1) == baselines.loop_convert(path, str(tmp_path / "b"), 3, 5)
+
+
+def test_region_reads_open_only_blocks_that_hold_the_region(spark, sf, tmp_path):
+    a = alignments(spark, sf)
+    for how, records in (("unsorted", a), ("sorted", sortorder.sorted_scan(a, 3))):
+        out = f"file://{tmp_path}/{how}"
+        total = baf.write_baf(records, out, limit=4096).count()
+        opened = baf.index_of(spark, out, (3, 2000, 5000)).count()
+        got = RegionFilter(3, 2000, 5000).apply(baf.read_baf(spark, out, (3, 2000, 5000))).count()
+        assert got == RegionFilter(3, 2000, 5000).apply(a).count() == 3 and opened <= 3 < total
+
+
+def test_a_copy_without_the_training_data_folders_works(tmp_path):
+    import shutil
+    import subprocess
+    import sys
+
+    here = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
+    copy = tmp_path / "copy"
+    shutil.copytree(here, copy, ignore=shutil.ignore_patterns(".git", "__pycache__", "llm", "corpus_pipeline.py"))
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert len(q) > 150 and set(o) <= set(q) and not any(n.startswith('op1_') or n == 'pipeline' for n in q)"
+    subprocess.run([sys.executable, "-c", code], cwd=copy, check=True, env={**os.environ, "PYTHONPATH": str(copy)})
 
 
 def test_parts_concatenate(spark, sf, tmp_path):
