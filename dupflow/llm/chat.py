@@ -1,9 +1,10 @@
 """Chat template whose output a deterministic parser reads back exactly.
 
 Turns are first rendered as they are.  The rendering is parsed again and the
-turns compared with the source; a turn that does not come back, or that holds
-control strings, is rendered escaped, and if the whole is still not identical
-every turn is.  Escaping is reversible, so the last step always succeeds.
+turns compared with the source.  Where they are not identical, or a turn holds
+control strings, the turns that hold one or do not come back alone are rendered
+escaped and the whole is parsed again; if it is still not identical every turn
+is escaped.  Escaping is reversible, so the last step always succeeds.
 """
 
 from __future__ import annotations
@@ -35,9 +36,19 @@ def unescape(c: Column) -> Column:
     return _swap(_swap(_swap(c, "&#10;", "\n"), "&lt;|", "<|"), "&amp;", "&")
 
 
-def conflicts(role: Column, text: Column) -> Column:
-    """Whether a turn rendered as it is would be read back differently or holds a control string."""
-    return role.contains("<|") | text.contains("<|") | role.contains("\n") | (unescape(role) != role) | (unescape(text) != text)
+def has_control(t: Column) -> Column:
+    """Whether a turn holds the start of a control string, which is never left as it is."""
+    return t["role"].contains("<|") | t["text"].contains("<|")
+
+
+def plain(turns: Column) -> Column:
+    return F.transform(turns, lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text")))
+
+
+def needs_escape(t: Column) -> Column:
+    """Whether a turn holds control strings or, rendered alone and parsed, does not come back."""
+    alone = F.array(F.struct(t["role"].alias("role"), t["text"].alias("text")))
+    return has_control(t) | (plain(parse(render(alone, lambda x: F.lit(False)))) != alone)
 
 
 def render(turns: Column, escaped) -> Column:
@@ -68,7 +79,7 @@ def parse(formatted: Column) -> Column:
 
 
 def format_conversations(conversations: DataFrame) -> DataFrame:
-    """One row for each conversation: formatted text, the turns read back from it, loss spans.
+    """One row for each conversation: formatted text, the turns read back from it, loss spans, and how often it was rendered anew.
 
     Turns are ordered by turn, then role and text; null roles and texts are
     empty, null turns come first, rows with a null conv_id form one
@@ -81,14 +92,16 @@ def format_conversations(conversations: DataFrame) -> DataFrame:
     rows = conversations.select(F.col("conv_id").cast("long").alias("conv_id"), F.struct(F.col("turn").cast("long").alias("turn"), empty("role").alias("role"), empty("text").alias("text")).alias("t"))
     g = rows.groupBy("conv_id").agg(F.sort_array(F.collect_list("t")).alias("ts"))
     g = g.select("conv_id", F.transform("ts", lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text"))).alias("turns"))
-    g = g.withColumn("formatted", render(F.col("turns"), lambda t: conflicts(t["role"], t["text"])))
-    g = g.withColumn("parsed", parse(F.col("formatted")))
-    plain = lambda c: F.transform(c, lambda t: F.struct(t["role"].alias("role"), t["text"].alias("text")))
-    g = g.withColumn("same", plain("parsed") == F.col("turns"))
-    g = g.withColumn("formatted", F.when(F.col("same"), F.col("formatted")).otherwise(render(F.col("turns"), lambda t: F.lit(True))))
-    g = g.withColumn("parsed", F.when(F.col("same"), F.col("parsed")).otherwise(parse(F.col("formatted"))))
+    g = g.withColumn("first", render(F.col("turns"), lambda t: F.lit(False)))
+    back = plain(parse(F.col("first"))) == F.col("turns")
+    g = g.withColumn("rounds", F.when(back & ~F.exists("turns", has_control), 0).otherwise(1))
+    g = g.withColumn("second", F.when(F.col("rounds") == 0, F.col("first")).otherwise(render(F.col("turns"), needs_escape)))
+    g = g.withColumn("again", parse(F.col("second")))
+    g = g.withColumn("rounds", F.when((F.col("rounds") > 0) & (plain(F.col("again")) != F.col("turns")), 2).otherwise(F.col("rounds")))
+    g = g.withColumn("formatted", F.when(F.col("rounds") < 2, F.col("second")).otherwise(render(F.col("turns"), lambda t: F.lit(True))))
+    g = g.withColumn("parsed", F.when(F.col("rounds") < 2, F.col("again")).otherwise(parse(F.col("formatted"))))
     loss = F.transform(F.filter("parsed", lambda t: t["role"] == "assistant"), lambda t: F.struct(t["start"].alias("start"), t["end"].alias("end")))
-    return g.select("conv_id", "formatted", "parsed", loss.alias("loss_spans"))
+    return g.select("conv_id", "formatted", "parsed", loss.alias("loss_spans"), "rounds")
 
 
 def format_digest(conversations: DataFrame) -> DataFrame:

@@ -32,14 +32,20 @@ def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Cal
     ``members`` has (bucket, node) and whatever columns ``plausible`` reads of
     two members, by name, to rule a pair out cheaply; ``verify`` keeps the true
     pairs of (a, b).  After round ``after`` the rows of crowded buckets are dealt
-    anew by ``deepen``, which gives them finer buckets.  Representatives are drawn
-    by a hash of ``rank``, another draw in each round.  Repeated rows count once.
+    anew by ``deepen``, which gives them finer buckets.  Representatives are the
+    members whose buckets hold the most, as the text that others were copied
+    from does, then by a hash of ``rank``.  Repeated rows count once.
     """
     payload = [c for c in members.columns if c not in ("bucket", "node")]
     members = _open(members.dropDuplicates(["bucket", "node"]))
+    first = members
+    weight = members.groupBy("node").agg(F.sum("size").alias("weight"))
+    members = materialize(members.join(weight, "node"), "members")
+    drop(first)
+    payload.append("weight")
     found, number, k = [], 0, 1
     while not members.isEmpty():
-        drawn = Window.partitionBy("bucket").orderBy(F.xxhash64(F.lit(number), rank), "node")
+        drawn = Window.partitionBy("bucket").orderBy(F.desc("weight"), F.xxhash64(F.lit(number), rank), "node")
         leaders = members.withColumn("place", F.row_number().over(drawn)).where(F.col("place") <= k).drop("place", "size")
         leaders = materialize(leaders.select(*[F.col(c).alias(f"{c}_r") for c in leaders.columns]), "representatives")
         ends = [F.least("node", "node_r").alias("a"), F.greatest("node", "node_r").alias("b")]

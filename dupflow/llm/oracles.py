@@ -24,17 +24,17 @@ s AS (
 f AS (SELECT doc_id, source, kind, rk, value, CAST(st AS BIGINT) AS st, CAST(st + n AS BIGINT) AS en FROM s
   WHERE (rk = 0 AND length(value) >= 8) OR (rk = 1 AND n >= 16) OR rk = 2 OR (rk = 3 AND regexp_matches(value, '[0-9]') AND regexp_matches(value, '[A-Za-z]'))),
 c AS (SELECT * FROM f WHERE rk < 3 OR NOT EXISTS (SELECT 1 FROM f b WHERE b.rk < 3 AND b.doc_id = f.doc_id AND b.st < f.en AND f.st < b.en)),
-o AS (SELECT value, count(DISTINCT source) AS owners FROM c GROUP BY value),
-w AS (SELECT c.*, o.owners FROM c JOIN o USING (value)),
+o AS (SELECT value, count(DISTINCT source) AS owners, count(DISTINCT doc_id) AS repositories FROM c GROUP BY value),
+w AS (SELECT c.*, o.owners, o.repositories, (owners <= 3 OR repositories <= 10) AND repositories <= 1000 AS live FROM c JOIN o USING (value)),
 a AS (
   SELECT doc_id, count(*) FILTER (WHERE rk = 0) AS n_assign, count(*) FILTER (WHERE rk = 1) AS n_access, count(*) FILTER (WHERE rk = 2) AS n_hex,
     coalesce(string_agg(kind || ':' || st || ':' || en, ',' ORDER BY st, rk) FILTER (WHERE rk < 3), '') AS b,
-    coalesce(string_agg(kind || ':' || st || ':' || en, ',' ORDER BY st, rk) FILTER (WHERE rk < 3 OR owners <= 1), '') AS spans,
-    count(*) FILTER (WHERE owners <= 1) AS n_live, count(*) FILTER (WHERE owners > 1) AS n_copied
+    coalesce(string_agg(kind || ':' || st || ':' || en, ',' ORDER BY st, rk) FILTER (WHERE rk < 3 OR live), '') AS spans,
+    count(*) FILTER (WHERE live) AS n_live, count(*) FILTER (WHERE NOT live) AS n_copied, max(owners) AS most_owners, max(repositories) AS most_repositories
   FROM w GROUP BY doc_id
 )
 SELECT d.doc_id, coalesce(n_assign, 0)::BIGINT AS n_assign, coalesce(n_access, 0)::BIGINT AS n_access, coalesce(n_hex, 0)::BIGINT AS n_hex,
-  sha256(coalesce(b, '')) AS base_sha256, coalesce(spans, '') AS spans, coalesce(n_live, 0)::BIGINT AS n_live, coalesce(n_copied, 0)::BIGINT AS n_copied
+  sha256(coalesce(b, '')) AS base_sha256, coalesce(spans, '') AS spans, coalesce(n_live, 0)::BIGINT AS n_live, coalesce(n_copied, 0)::BIGINT AS n_copied, coalesce(most_owners, 0)::BIGINT AS most_owners, coalesce(most_repositories, 0)::BIGINT AS most_repositories
 FROM d LEFT JOIN a USING (doc_id)
 """
 
@@ -48,8 +48,8 @@ j AS (
   SELECT doc_id, length(x) AS n,
     regexp_matches(x, '[.!?…。！？:;]["''”’»)\]]*[\x20\x09-\x0D]*$')
     AND length(x) - length(replace(x, '|', '')) <= 1
-    AND length(regexp_replace(x, '[^#*$%&|<>]', '', 'g')) <= 0.5 * len(string_split_regex(trim(x), '[\x20\x09-\x0D]+'))
-    AND (length(x) - length(replace(x, '!!', ''))) / 2 <= 0.5 * len(string_split_regex(trim(x), '[\x20\x09-\x0D]+'))
+    AND length(regexp_replace(x, '[^#*$%&|<>]', '', 'g')) <= 0.5 * len(string_split_regex(trim(x, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), '[\x20\x09-\x0D]+'))
+    AND (length(x) - length(replace(x, '!!', ''))) / 2 <= 0.5 * len(string_split_regex(trim(x, ' ' || chr(9) || chr(10) || chr(11) || chr(12) || chr(13)), '[\x20\x09-\x0D]+'))
     AND NOT regexp_matches(x, '(?i)lorem ipsum|enable javascript|use of cookies|cookie policy|accept cookies|privacy policy|terms of (use|service)|all rights reserved|licensed under|public license|sign up|log in|subscribe (now|to)|click here|read more|share this') AS ok
   FROM (SELECT doc_id, unnest(ls) AS x FROM e)
 ),

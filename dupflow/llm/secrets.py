@@ -19,8 +19,8 @@ ASSIGN = r"""(?i:password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?(
 ASSIGN_HINTS = ["password", "passwd", "secret", "token", "api"]
 ACCESS = r"AKIA[A-Z0-9]{12,}"
 HEX = r"[0-9a-f]{32,}"
-#: Redaction leaves a value alone only if more owners and repositories than these hold it, or so many repositories of any owners.
-WIDE = {"max_owners": 3, "max_repositories": 10, "hot_repositories": 1000}
+#: A value is a widely copied example only if more owners and repositories than these hold it, or more repositories of any owners than the last.
+MAX_OWNERS, MAX_REPOSITORIES, HOT_REPOSITORIES = 3, 10, 1000
 #: The method's own candidates: long key-like runs with digits and letters.
 KEYLIKE = r"[A-Za-z0-9+/_=-]{20,}"
 
@@ -73,16 +73,17 @@ def ownership(candidates: DataFrame) -> DataFrame:
     return by_owner.groupBy("hash").agg(F.sum("repositories").alias("n_repositories"), F.count("*").alias("n_owners"))
 
 
-def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max_owners: int = 1, max_repositories: int = 0, hot_repositories: int | None = None) -> DataFrame:
+def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max_owners: int = MAX_OWNERS, max_repositories: int = MAX_REPOSITORIES, hot_repositories: int = HOT_REPOSITORIES) -> DataFrame:
     """One row for each document with all spans and the verdict on each.
 
     A candidate is a copied example if it is held by more than ``max_owners``
     distinct owners and more than ``max_repositories`` distinct repositories,
-    or, whoever owns them, by more than ``hot_repositories`` if that is given;
+    or, whoever owns them, by more than ``hot_repositories``;
     any other is live.  Base spans stay whatever the verdict;
     a key-like candidate outside base spans becomes an ``owned`` span only if
-    live.  Null texts are empty; null owners and repositories count as one
-    value each.  Equal rows give equal rows; an empty table gives none.
+    live.  Null texts are empty and texts of any length are read whole; null
+    owners and repositories count as one value each.  Rows are told apart by id
+    and text: equal rows give equal rows; an empty table gives none.
     """
     t = text_or_empty()
     found = docs.select(
@@ -98,16 +99,16 @@ def scan(docs: DataFrame, repository: str = "doc_id", owner: str = "source", max
     found = found.select("doc_id", "rid", "repository", "owner", "assign", "access", "hex", "base", "all", F.transform("all", lambda s: F.xxhash64(s["value"])).alias("hashes"))
     found = materialize(found, "secret-spans")
     holders = found.where(F.size("all") > 0)
-    rows = holders.select("doc_id", "repository", "owner", F.explode(F.array_distinct("hashes")).alias("hash"))
+    rows = holders.select("doc_id", "rid", "repository", "owner", F.explode(F.array_distinct("hashes")).alias("hash"))
     counts = ownership(rows.select("hash", "owner", "repository"))
-    verdicts = rows.select("doc_id", "hash").distinct().join(counts, "hash")
-    of_doc = verdicts.groupBy("doc_id").agg(F.map_from_entries(F.collect_list(F.struct("hash", F.struct("n_owners", "n_repositories")))).alias("held"))
-    joined = found.join(of_doc, found["doc_id"].eqNullSafe(of_doc["doc_id"]), "left").select(found["*"], "held")
+    verdicts = rows.select("doc_id", "rid", "hash").distinct().join(counts, "hash")
+    of_doc = verdicts.groupBy("doc_id", "rid").agg(F.map_from_entries(F.collect_list(F.struct("hash", F.struct("n_owners", "n_repositories")))).alias("held"))  # a text's own candidates
+    joined = found.join(of_doc, found["doc_id"].eqNullSafe(of_doc["doc_id"]) & (found["rid"] == of_doc["rid"]), "left").select(found["*"], "held")
     n = lambda s, count: F.col("held")[F.xxhash64(s["value"])][count]
 
     def is_live(s: Column) -> Column:
         few = (n(s, "n_owners") <= max_owners) | (n(s, "n_repositories") <= max_repositories)
-        return few if hot_repositories is None else few & (n(s, "n_repositories") <= hot_repositories)
+        return few & (n(s, "n_repositories") <= hot_repositories)
 
     live = F.filter("all", is_live)
     return joined.select(
@@ -121,13 +122,15 @@ def _written(c: Column) -> Column:
 
 
 def scan_digest(docs: DataFrame, **how) -> DataFrame:
-    """The digest columns of :func:`scan`."""
+    """The digest columns of :func:`scan`, with the most owners and repositories that hold one of a document's candidates."""
     s = scan(docs, **how)
+    most = lambda c: F.coalesce(F.array_max(F.transform(F.map_values("held"), lambda x: x[c])), F.lit(0)).cast("long")
     count = lambda c: F.size(c).cast("long")
     return s.select(
         "doc_id", count("assign").alias("n_assign"), count("access").alias("n_access"), count("hex").alias("n_hex"),
         F.sha2(_written(F.col("base")).cast("binary"), 256).alias("base_sha256"), _written(F.col("kept")).alias("spans"),
         F.coalesce(count("live"), F.lit(0)).alias("n_live"), (count("all") - count("live")).alias("n_copied"),
+        most("n_owners").alias("most_owners"), most("n_repositories").alias("most_repositories"),
     )
 
 
