@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import os
 import uuid
 from urllib.parse import urlparse
@@ -59,14 +60,15 @@ def local_part(uri: str) -> str | None:
     return parsed.path if parsed.scheme in ("", "file") else None
 
 
-def put_bytes(uri: str, data) -> None:
-    """Writes a whole file so that readers see all of it or nothing; a retry overwrites the same bytes."""
+@contextlib.contextmanager
+def shared_writer(uri: str):
+    """A binary writer of a file that readers see whole or not at all; a retry writes the same file again."""
     path = local_part(uri)
     if path is not None:
         os.makedirs(os.path.dirname(path), exist_ok=True)
         tmp = f"{path}.{uuid.uuid4().hex}.tmp"
         with open(tmp, "wb") as out:
-            out.write(data)
+            yield out
         os.replace(tmp, path)
         return
     from pyarrow import fs
@@ -74,7 +76,7 @@ def put_bytes(uri: str, data) -> None:
     store, where = fs.FileSystem.from_uri(uri)
     store.create_dir(os.path.dirname(where), recursive=True)
     with store.open_output_stream(where) as out:
-        out.write(data)
+        yield out
 
 
 def open_shared(uri: str):

@@ -17,8 +17,10 @@ decompresses only the frames that a requested document touches, checking each.
 
 from __future__ import annotations
 
+import itertools
 import struct
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -30,7 +32,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from dupflow.llm.chunks import ENCODER_BATCH, batches_by_size
-from dupflow.llm.common import open_shared, put_bytes, shared_path, text_or_empty
+from dupflow.llm.common import open_shared, shared_path, shared_writer, text_or_empty
 
 #: Fixed values of the published seekable format.
 SEEK_FRAME_MAGIC = 0x184D2A5E
@@ -43,16 +45,14 @@ FRAME_IDS = 1 << 18
 
 
 class TokenFileWriter:
-    """Builds one file in memory-bounded steps: raw ids wait only until a frame is full."""
+    """Writes one file frame by frame to ``out``: ids wait only until a frame is full, and only the index and the table grow."""
 
-    def __init__(self, frame_ids: int = FRAME_IDS, level: int = 3):
+    def __init__(self, out, frame_ids: int = FRAME_IDS, level: int = 3):
         self.frame_bytes = 4 * frame_ids
         self.zip = zstandard.ZstdCompressor(level=level, write_checksum=True, write_content_size=True)
-        self.out, self.raw = bytearray(), bytearray()
+        self.out, self.raw = out, bytearray()
         self.table: list[bytes] = []
-        self.ids: list[int] = []
-        self.nulls: list[bool] = []
-        self.counts: list[int] = []
+        self.ids, self.nulls, self.counts = array("q"), array("B"), array("q")
 
     def add(self, doc_id: int | None, ids: bytes) -> None:
         self.ids.append(doc_id or 0)
@@ -66,18 +66,17 @@ class TokenFileWriter:
         part = bytes(self.raw[:n])
         del self.raw[:n]
         packed = self.zip.compress(part)
-        self.out += packed
+        self.out.write(packed)
         self.table.append(struct.pack("<III", len(packed), len(part), xxhash.xxh64_intdigest(part) & 0xFFFFFFFF))
 
-    def finish(self) -> bytes:
+    def finish(self) -> None:
         if self.raw:
             self._frame(len(self.raw))
         index = self.zip.compress(np.array(self.ids, "<i8").tobytes() + np.array(self.counts, "<i8").tobytes() + np.array(self.nulls, "u1").tobytes())
         index += struct.pack("<QI", len(self.ids), len(index))
-        self.out += struct.pack("<II", INDEX_FRAME_MAGIC, len(index)) + index
+        self.out.write(struct.pack("<II", INDEX_FRAME_MAGIC, len(index)) + index)
         seek = b"".join(self.table) + struct.pack("<IBI", len(self.table), CHECKSUM_FLAG, SEEK_TABLE_MAGIC)
-        self.out += struct.pack("<II", SEEK_FRAME_MAGIC, len(seek)) + seek
-        return bytes(self.out)
+        self.out.write(struct.pack("<II", SEEK_FRAME_MAGIC, len(seek)) + seek)
 
 
 class TokenFileReader:
@@ -150,16 +149,20 @@ def write_token_files(docs: DataFrame, out_dir: str, vocab: str, end_id: int | N
     def write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from dupflow.llm.hf_tokens import encoder
 
-        encode, out = encoder(vocab).encode, TokenFileWriter()
-        for batch in batches:
-            ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            for lo, hi in batches_by_size(texts, ENCODER_BATCH):
-                for doc_id, packed in zip(ids[lo:hi], encode(texts[lo:hi]), strict=True):
-                    out.add(doc_id, packed + end)
+        encode, part = encoder(vocab).encode, TaskContext.get().partitionId()
+        first = next(batches, None)
+        if first is None:
+            return
+        path = f"{out_dir}/tokens-{part:06d}.zst"
+        with shared_writer(path) as handle:
+            out = TokenFileWriter(handle)
+            for batch in itertools.chain([first], batches):
+                ids, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+                for lo, hi in batches_by_size(texts, ENCODER_BATCH):
+                    for doc_id, packed in zip(ids[lo:hi], encode(texts[lo:hi]), strict=True):
+                        out.add(doc_id, packed + end)
+            out.finish()
         if out.ids:
-            part = TaskContext.get().partitionId()
-            path = f"{out_dir}/tokens-{part:06d}.zst"
-            put_bytes(path, out.finish())
             yield pa.RecordBatch.from_pylist([{"part": part, "path": path, "n_docs": len(out.ids), "n_tokens": sum(out.counts)}], schema=pa.schema([("part", pa.int32()), ("path", pa.string()), ("n_docs", pa.int64()), ("n_tokens", pa.int64())]))
 
     manifest = rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(write, MANIFEST)

@@ -1,6 +1,7 @@
 """Training-data operators against brute force, round trips and held-out accuracy."""
 
 import hashlib
+import io
 import re
 import zlib
 from collections import Counter, defaultdict
@@ -95,11 +96,13 @@ def test_minimal_perfect_hash():
 
 
 def test_token_file_reads_only_what_is_asked(tmp_path):
-    w = token_files.TokenFileWriter(frame_ids=100)
+    out = io.BytesIO()
+    w = token_files.TokenFileWriter(out, frame_ids=100)
     data = {i: np.arange(i * 7 % 250, dtype="<u4").tobytes() for i in range(40)}
     for i, d in data.items():
         w.add(i if i else None, d)
-    (tmp_path / "f").write_bytes(w.finish())
+    w.finish()
+    (tmp_path / "f").write_bytes(out.getvalue())
     with open(tmp_path / "f", "rb") as f:
         r = token_files.TokenFileReader(f)
         assert r.read(3) == data[3] and r.frames_read == 1
