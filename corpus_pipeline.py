@@ -1,4 +1,10 @@
-"""Corpus clean-up in five stages over ``documents``; each stage works on all that the one before kept."""
+"""Corpus clean-up in five stages over ``documents``; each stage works on all that the one before kept.
+
+In every stage null texts are empty texts, null ids are ids of their own, texts
+are read whole however long, repeated rows are rows, an empty table gives an
+empty one, and columns beyond those of ``documents`` are carried as they are.
+Ties are settled by doc_id, then by a hash of the text.
+"""
 
 from __future__ import annotations
 
@@ -10,17 +16,17 @@ from dupflow.llm.common import materialize, table
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Failing lines go, then documents that lose too much or fail the base rules."""
+    """Failing lines go, then documents that lose too much or fail the base rules; a null or empty text fails them."""
     return quality.clean_documents(docs)
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each class of equal or nearly equal lines only the first stays; every document stays."""
+    """Of each class of equal or nearly equal lines only the first stays; every document stays, rows equal in id and text lose the same lines."""
     return line_join.drop_repeated_lines(docs, share=line_join.SHARE, short=True)
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate class stays."""
+    """One document of each near-duplicate class stays, the one of the least id; null ids stay only where a class has no other."""
     return near_dedup.keep_one(docs)
 
 
