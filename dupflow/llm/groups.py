@@ -21,12 +21,13 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from dupflow.llm.common import drop, materialize
+from dupflow.llm.components import components
 
 #: Buckets of at most so many open members are compared in full.
 SMALL = 8
 
 
-def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Callable[[str], Column]], Column], verify: Callable[[DataFrame], DataFrame], deepen: Callable[[DataFrame], DataFrame] | None = None, after: int = 3, rank: str = "node") -> DataFrame:
+def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Callable[[str], Column]], Column], verify: Callable[[DataFrame], DataFrame], deepen: Callable[[DataFrame], DataFrame] | None = None, after: int = 3, rank: str = "node", whole: bool = False) -> DataFrame:
     """(a, b), a < b: verified links among the members of buckets.
 
     ``members`` has (bucket, node) and whatever columns ``plausible`` reads of
@@ -34,7 +35,10 @@ def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Cal
     pairs of (a, b).  After round ``after`` the rows of crowded buckets are dealt
     anew by ``deepen``, which gives them finer buckets.  Representatives are the
     members whose buckets hold the most, as the text that others were copied
-    from does, then by a hash of ``rank``.  Repeated rows count once.
+    from does, then by a hash of ``rank``.  With ``whole`` a last pass compares
+    the members of each crowd that ended in different connected sets, so that
+    these sets are those of all pairs; it makes a row for each plausible pair of
+    different sets.  Repeated rows count once.
     """
     payload = [c for c in members.columns if c not in ("bucket", "node")]
     members = _open(members.dropDuplicates(["bucket", "node"]))
@@ -42,6 +46,7 @@ def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Cal
     weight = members.groupBy("node").agg(F.sum("size").alias("weight"))
     members = materialize(members.join(weight, "node"), "members")
     drop(first)
+    crowds = materialize(members.where(F.col("size") > SMALL), "crowds") if whole else None
     payload.append("weight")
     found, number, k = [], 0, 1
     while not members.isEmpty():
@@ -67,7 +72,18 @@ def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Cal
     if not found:
         kind = members.schema["node"].dataType
         return members.select(F.lit(None).cast(kind).alias("a"), F.lit(None).cast(kind).alias("b")).limit(0)
-    return functools.reduce(DataFrame.unionAll, found).distinct()
+    links = functools.reduce(DataFrame.unionAll, found).distinct()
+    if crowds is None:
+        return links
+    links = materialize(links, "links")
+    comps = components(links)
+    sets = crowds.join(comps, "node", "left").withColumn("comp", F.coalesce("comp", "node"))
+    several = sets.groupBy("bucket").agg(F.min("comp").alias("lo"), F.max("comp").alias("hi")).where(F.col("lo") != F.col("hi")).select("bucket")
+    sets = materialize(sets.join(several, "bucket"), "crowds")
+    other = sets.select(*[F.col(c).alias(f"{c}_r") for c in sets.columns])
+    apart = (F.col("node") < F.col("node_r")) & (F.col("comp") != F.col("comp_r"))
+    pairs = sets.join(other, (F.col("bucket") == F.col("bucket_r")) & apart & plausible(lambda c: F.col(c), lambda c: F.col(f"{c}_r")))
+    return links.unionAll(verify(pairs.select(F.col("node").alias("a"), F.col("node_r").alias("b")).distinct()).select("a", "b")).distinct()
 
 
 def _open(members: DataFrame) -> DataFrame:
