@@ -39,19 +39,16 @@ def shared_path(spark: SparkSession, name: str) -> str:
 
 
 def materialize(df: DataFrame, name: str) -> DataFrame:
-    """Writes ``df`` as a table in the shared folder and reads it back: lineage ends there."""
+    """Writes ``df`` as a table in the shared folder and reads it back: lineage ends there.
+
+    Nothing here removes the table: a query that ends early, because a side of
+    a join was empty, can leave a stage behind that still reads its inputs.
+    Whoever owns the folder in ``spark.checkpoint.dir`` clears it after the job.
+    """
     spark = df.sparkSession
     path = shared_path(spark, name)
     df.write.parquet(path)
-    out = spark.read.schema(df.schema).parquet(path)
-    out.stored_path = path
-    return out
-
-
-def drop(df: DataFrame) -> None:
-    """Removes a table made by :func:`materialize` once nothing reads it any more."""
-    hadoop = df.sparkSession._jvm.org.apache.hadoop.fs.Path(df.stored_path)
-    hadoop.getFileSystem(df.sparkSession._jsc.hadoopConfiguration()).delete(hadoop, True)
+    return spark.read.schema(df.schema).parquet(path)
 
 
 def local_part(uri: str) -> str | None:

@@ -20,7 +20,7 @@ from collections.abc import Callable
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from dupflow.llm.common import drop, materialize
+from dupflow.llm.common import materialize
 from dupflow.llm.components import components
 
 #: Buckets of at most so many open members are compared in full.
@@ -42,10 +42,8 @@ def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Cal
     """
     payload = [c for c in members.columns if c not in ("bucket", "node")]
     members = _open(members.dropDuplicates(["bucket", "node"]))
-    first = members
     weight = members.groupBy("node").agg(F.sum("size").alias("weight"))
     members = materialize(members.join(weight, "node"), "members")
-    drop(first)
     crowds = materialize(members.where(F.col("size") > SMALL), "crowds") if whole else None
     payload.append("weight")
     found, number, k = [], 0, 1
@@ -66,9 +64,7 @@ def linked(members: DataFrame, plausible: Callable[[Callable[[str], Column], Cal
         if deepen is not None and number == after:
             crowds = deepen(rest.where(F.col("size") > SMALL)).select("bucket", "node", *payload)
             rest = rest.where(F.col("size") <= SMALL).select("bucket", "node", *payload).unionAll(crowds).dropDuplicates(["bucket", "node"])
-        done, members = members, _open(rest.select("bucket", "node", *payload))
-        drop(done)
-        drop(leaders)
+        members = _open(rest.select("bucket", "node", *payload))
     if not found:
         kind = members.schema["node"].dataType
         return members.select(F.lit(None).cast(kind).alias("a"), F.lit(None).cast(kind).alias("b")).limit(0)
