@@ -220,7 +220,7 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
         texts = docs.select(t.alias("text"), F.xxhash64(t).alias("rid")).join(wanted, "rid").dropDuplicates(["node"])
         sets = materialize(shingle_sets(texts), "shingle-sets")
         least = DOUBTFUL - SIMILARITY + similarity
-        links = linked(members, lambda x, y: estimate(x("bits"), y("bits")) >= least, lambda pairs: _verified(pairs, sets, similarity), lambda rest: rest.withColumn("bucket", F.col("deep")))
+        links = linked(members, lambda x, y: estimate(x("bits"), y("bits")) >= least, lambda pairs: _verified(pairs, sets, similarity), lambda rest: rest.withColumn("bucket", F.col("deep")), whole=True)
         comps = components(links)
     named = sketches if comps is None else sketches.join(comps, "node", "left")
     rows = named.select("doc_id", "rid", "row", "node", (F.col("node") if comps is None else F.coalesce("comp", "node")).alias("comp"))
