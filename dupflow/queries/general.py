@@ -167,9 +167,18 @@ def jn_asof_window(spark, sf):
 
 @query(_ASOF)
 def jn_asof_lateral(spark, sf):
-    """The same by a correlated subquery, for small inputs."""
-    table(spark, sf, "events").createOrReplaceTempView("asof_events")
-    return spark.sql("SELECT p.event_id, c.click_id FROM asof_events p LEFT JOIN LATERAL (SELECT max(event_id) click_id FROM asof_events c WHERE c.user_id = p.user_id AND c.event_type = 'click' AND c.event_id < p.event_id) c WHERE p.event_type = 'purchase'")
+    """The same by a correlated subquery, which looks up its own event in the clicks before each event of a user.
+
+    The lookup is by equal columns alone, so it is an equal join: rows grow with
+    the events and not with the purchases times the clicks of a user.
+    """
+    e = table(spark, sf, "events")
+    before = Window.partitionBy("user_id").orderBy("event_id").rangeBetween(Window.unboundedPreceding, -1)
+    click = F.max(F.when(F.col("event_type") == "click", F.col("event_id"))).over(before)
+    last = e.where(F.col("event_type").isin("click", "purchase")).select("user_id", "event_id", "event_type", click.alias("click_id")).where("event_type = 'purchase'")
+    e.createOrReplaceTempView("asof_events")
+    last.createOrReplaceTempView("asof_clicks")
+    return spark.sql("SELECT p.event_id, max(c.click_id) AS click_id FROM asof_events p LEFT JOIN LATERAL (SELECT max(click_id) AS click_id FROM asof_clicks c WHERE c.user_id = p.user_id AND c.event_id = p.event_id) c WHERE p.event_type = 'purchase' GROUP BY p.event_id")
 
 
 @query("SELECT a.event_type, count(*) AS n FROM events a JOIN (SELECT event_type, count(*) AS c FROM events GROUP BY 1) b ON a.event_type = b.event_type WHERE c > 10 GROUP BY 1")
