@@ -5,6 +5,8 @@ Everything is a built-in expression on one row; there is no shuffle.
 
 from __future__ import annotations
 
+import functools
+
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -17,6 +19,8 @@ SYMBOLS = "#*$%&|<>"
 
 #: Lines with these phrases are boilerplate.
 BOILERPLATE = r"(?i)lorem ipsum|enable javascript|use of cookies|cookie policy|accept cookies|privacy policy|terms of (use|service)|all rights reserved|licensed under|public license|sign up|log in|subscribe (now|to)|click here|read more|share this"
+#: Lower-case parts, one of which is in whatever BOILERPLATE matches: they are looked for before the pattern is tried.
+BOILERPLATE_PARTS = ("lorem ipsum", "enable javascript", "use of cookies", "cookie policy", "accept cookies", "privacy policy", "terms of ", "all rights reserved", "licensed under", "public license", "sign up", "log in", "subscribe ", "click here", "read more", "share this")
 #: A line of prose ends in one of these, quotes and brackets aside.
 SENTENCE_END = r"[.!?…。！？:;][\"'”’»)\]]*[\x20\x09-\x0D]*$"
 
@@ -29,6 +33,15 @@ def _count(text: Column, chars: str) -> Column:
     return total.cast("long")
 
 
+def boilerplate(line: Column) -> Column:
+    """Whether a line has a phrase of boilerplate; the pattern, slow at every place of a line, is tried only where a part of it is found."""
+
+    def part(low: Column) -> Column:
+        return functools.reduce(lambda a, b: a | b, [F.contains(low, F.lit(x)) for x in BOILERPLATE_PARTS])
+
+    return F.exists(F.array(F.lower(line)), part) & line.rlike(BOILERPLATE)
+
+
 def line_passes(line: Column, max_symbols: float = 0.5, max_pipes: int = 1, max_shouts: float = 0.5) -> Column:
     """Whether a line with words is prose: punctuation, navigation and boilerplate rules.
 
@@ -39,7 +52,7 @@ def line_passes(line: Column, max_symbols: float = 0.5, max_pipes: int = 1, max_
     """
     words = F.size(F.split(F.btrim(line, F.lit(SPACES)), r"[\x20\x09-\x0D]+"))
     shouts = (F.length(line) - F.length(F.replace(line, F.lit("!!"), F.lit("")))) / 2
-    return line.rlike(SENTENCE_END) & (_count(line, "|") <= max_pipes) & (_count(line, SYMBOLS) <= words * max_symbols) & (shouts <= words * max_shouts) & ~line.rlike(BOILERPLATE)
+    return line.rlike(SENTENCE_END) & (_count(line, "|") <= max_pipes) & (_count(line, SYMBOLS) <= words * max_symbols) & (shouts <= words * max_shouts) & ~boilerplate(line)
 
 
 def _after(ordered: Column, k: Column) -> Column:
