@@ -189,12 +189,20 @@ def shingle_sets(rows: DataFrame) -> DataFrame:
     return rows.select("node", "text").mapInArrow(run, "node binary, set array<long>")
 
 
+def _alike(a: Column, b: Column, similarity: float) -> Column:
+    """Whether two sets have at least the given Jaccard similarity; sets of too different sizes are not intersected."""
+    both = F.size(a) + F.size(b)
+    sizes = F.least(F.size(a), F.size(b)) >= similarity * F.greatest(F.size(a), F.size(b))
+    # common >= similarity * (both - common), with the intersection taken once
+    common = F.transform(F.array(F.size(F.array_intersect(a, b))), lambda n: n >= similarity * (both - n))[0]
+    return sizes & common
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     """The pairs (a, b, ...) whose shingle sets have at least the given Jaccard similarity."""
     left = sets.select(F.col("node").alias("a"), F.col("set").alias("sa"))
     right = sets.select(F.col("node").alias("b"), F.col("set").alias("sb"))
-    joined = pairs.join(left, "a").join(right, "b").withColumn("common", F.size(F.array_intersect("sa", "sb")))
-    return joined.where(F.col("common") >= similarity * (F.size("sa") + F.size("sb") - F.col("common")))
+    return pairs.join(left, "a").join(right, "b").where(_alike(F.col("sa"), F.col("sb"), similarity))
 
 
 def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
@@ -220,7 +228,7 @@ def classes(docs: DataFrame, similarity: float = SIMILARITY) -> DataFrame:
         texts = docs.select(t.alias("text"), F.xxhash64(t).alias("rid")).join(wanted, "rid").dropDuplicates(["node"])
         sets = materialize(shingle_sets(texts), "shingle-sets")
         least = DOUBTFUL - SIMILARITY + similarity
-        links = linked(members, lambda x, y: estimate(x("bits"), y("bits")) >= least, lambda pairs: _verified(pairs, sets, similarity), lambda rest: rest.withColumn("bucket", F.col("deep")), whole=True)
+        links = linked(members, lambda x, y: estimate(x("bits"), y("bits")) >= least, lambda pairs: _verified(pairs, sets, similarity), lambda rest: rest.withColumn("bucket", F.col("deep")), whole=(sets, lambda x, y: _alike(x("set"), y("set"), similarity)))
         comps = components(links)
     named = sketches if comps is None else sketches.join(comps, "node", "left")
     rows = named.select("doc_id", "rid", "row", "node", (F.col("node") if comps is None else F.coalesce("comp", "node")).alias("comp"))
